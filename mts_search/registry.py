@@ -1,4 +1,6 @@
 """All queries of the engine and their SQL."""
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from .plans import relational, workloads
+
+QUERIES: dict = {**workloads.QUERIES, **relational.QUERIES}
+ORACLE_SQL: dict = {**workloads.ORACLE_SQL, **relational.ORACLE_SQL}
