@@ -67,7 +67,7 @@ def range_number(key: Column, cuts: list[int]) -> Column:
     nested = F.array(*[F.array(*[F.lit(v) for v in b]) for b in blocks])
     at = F.size(F.filter(first, lambda v: v < key))
     inner = F.size(F.filter(F.coalesce(F.get(nested, at), F.array().cast("array<bigint>")), lambda v: v < key))
-    return (at * width + inner).cast("int")
+    return F.least(at * width + inner, F.lit(len(cuts))).cast("int")  # the last block may be shorter
 
 
 def with_next(docs: DataFrame, rows_each: int = 256) -> DataFrame:

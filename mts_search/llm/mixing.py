@@ -10,7 +10,7 @@ Default targets temper the corpus' own shares (share ** ``power``, normalised).
 form of a text: of few words, of many words, of digits, of symbols, or prose.
 
 Cells are few and go to the driver if there are at most ``most`` of them; beyond that the same raking
-runs on a table in the cluster, one pass a marginal.
+runs on a table in the cluster, one pass a marginal, until no share moves by more than a millionth.
 
 Edge cases: null source or language is a value of its own; a null text is empty and has 0 tokens,
 its document stays with its cell's probability (cells without tokens keep weight 1); a target for
@@ -103,7 +103,7 @@ def scale_for(w: np.ndarray, n: np.ndarray, budget: float) -> float:
     return 1.0 / w[w > 0].min() if (w > 0).any() else 1.0
 
 
-def rake_table(cells: DataFrame, power: float, rounds: int = 20) -> DataFrame:
+def rake_table(cells: DataFrame, power: float, rounds: int = 200, tolerance: float = 1e-6) -> DataFrame:
     """The same raking for cells beyond the driver's bound: cells with tokens ``n`` gain ``w``; a pass a marginal, sums pre-aggregated."""
     cells = cells.withColumn("w", F.lit(1.0))
     shares = {}
@@ -112,12 +112,16 @@ def rake_table(cells: DataFrame, power: float, rounds: int = 20) -> DataFrame:
         z = own.agg(F.sum("raw")).first()[0] or 1.0
         shares[d] = materialize(own.select(F.col(d).alias("v"), (F.col("raw") / z).alias("share")), "shares")
     for _ in range(rounds):
+        off = 0.0
         for d in DIMS:
             total = cells.agg(F.sum(F.col("w") * F.col("n"))).first()[0] or 1.0
             now = cells.groupBy(d).agg(F.sum(F.col("w") * F.col("n")).alias("now")).where("now > 0")
             by = now.join(shares[d], now[d].eqNullSafe(shares[d]["v"])).select(F.col("v"), (F.col("share") * total / F.col("now")).alias("by"))
+            off = max(off, by.agg(F.max(F.abs(F.col("by") - 1))).first()[0] or 0.0)
             cells = cells.join(by, cells[d].eqNullSafe(by["v"]), "left").withColumn("w", F.col("w") * F.coalesce("by", F.lit(1.0))).drop("v", "by")
         cells = materialize(cells, "cells")
+        if off < tolerance:
+            break
     return cells
 
 
