@@ -34,7 +34,7 @@ from .fingerprint import range_cuts, range_number
 MAGIC, SCALE, LOW = b"RANS0001", 20, np.uint64(1 << 31)
 LANES, BLOCK, EVERY = 256, 1 << 17, 128
 _LAST = (1 << 63) - 1
-_GAP = re.compile(r"[ \t\n\r]+")
+_GAP, _ODD = re.compile(r"[ \t\n\r]+"), re.compile(r"[\x1c-\x1f]")
 
 
 @dataclass
@@ -151,26 +151,57 @@ def unpack_block(data: bytes, table: Table) -> tuple[int, int, list[tuple[int |
     return part, start, [(None if z else int(k), x) for k, z, x in zip(keys, null, np.split(ids, np.cumsum(sizes)[:-1]), strict=True)]
 
 
+class Memo(dict):
+    """Ids, as bytes, of each piece met so far.
+
+    Where the tokenizer ignores case and parts letters from the marks behind them (tested once), a new piece is put
+    together from its lower-case word and its marks; else it is encoded.
+    """
+
+    MARKS = ".,;:!?"
+
+    def __init__(self, tokenizer) -> None:
+        super().__init__()
+        self.tokenizer = tokenizer
+        ids = lambda t: tokenizer.encode(t, add_special_tokens=False).ids
+        self.folds = ids("Abcxyz") == ids("abcxyz") and all(ids("abc" + m) == ids("abc") + ids(m) for m in (*self.MARKS, "?!", "..."))
+
+    def __missing__(self, piece: str) -> bytes:
+        if self.folds:
+            low = piece.lower() if piece.isascii() else piece
+            core = low.rstrip(self.MARKS)
+            if core != piece and core.isalpha():
+                got = self[piece] = self[core] + self[low[len(core) :]] if len(core) < len(low) else self[core]
+                return got
+        got = self[piece] = np.array(self.tokenizer.encode(piece, add_special_tokens=False).ids, "<u4").tobytes()
+        return got
+
+
 class Pieces:
-    """Ids of texts by white-space pieces, which the tokenizer treats independently; a bounded memo holds frequent pieces."""
+    """Ids of texts by white-space pieces, which the tokenizer treats independently.
+
+    The bounded memo stays with the Python worker from task to task.
+    """
+
+    kept: dict[str, Memo] = {}
 
-    def __init__(self, path: str, end: int) -> None:
-        from tokenizers import Tokenizer
+    def __init__(self, path: str, end: int, most: int = 1_000_000) -> None:
+        if path not in self.kept:
+            from tokenizers import Tokenizer
 
-        self.tokenizer, self.end, self.memo = Tokenizer.from_file(path), end, {}
+            self.kept[path] = Memo(Tokenizer.from_file(path))
+        self.memo, self.most = self.kept[path], most
+        self.tail = np.array([end], "<u4").tobytes()
 
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
-        memo = self.memo
-        if len(memo) > 300_000:
-            memo.clear()
-        split = [[p for p in _GAP.split(t) if p] for t in texts]
-        new = list({p for s in split for p in s if p not in memo})
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
-            for p, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False), strict=True):
-                memo[p] = np.array(e.ids, "<u4").tobytes()
-        tail = np.array([self.end], "<u4").tobytes()
-        return [np.frombuffer(b"".join(map(memo.__getitem__, s)) + tail, "<u4") for s in split]
+        if len(self.memo) > self.most:
+            self.memo.clear()
+        get, out = self.memo.__getitem__, []
+        for t in texts:
+            # the tokenizer takes four control characters for symbols that str.split takes for white space
+            pieces = [p for p in _GAP.split(t) if p] if _ODD.search(t) else t.split()
+            out.append(np.frombuffer(b"".join(map(get, pieces)) + self.tail, "<u4"))
+        return out
 
 
 def _narrow(ids: np.ndarray) -> bytes:
