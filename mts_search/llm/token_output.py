@@ -32,7 +32,7 @@ from .common import materialize, text_or_empty
 from .fingerprint import range_cuts, range_number
 
 MAGIC, SCALE, LOW = b"RANS0001", 20, np.uint64(1 << 31)
-LANES, BLOCK, EVERY = 256, 1 << 17, 128
+LANES, BLOCK, EVERY = 1024, 1 << 18, 128
 _LAST = (1 << 63) - 1
 _GAP, _ODD = re.compile(r"[ \t\n\r]+"), re.compile(r"[\x1c-\x1f]")
 

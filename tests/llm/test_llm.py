@@ -218,7 +218,7 @@ def test_pruning_keeps_similar_pairs():
 
 
 def test_blocks_round_trip(spark, edge):
-    ids = G.zipf(1.3, 70_000).clip(0, 40_000).astype(np.uint32)
+    ids = G.zipf(1.3, 300_000).clip(0, 40_000).astype(np.uint32)
     table = T.Table.of(np.bincount(ids))
     assert table.freq.sum() == 1 << T.SCALE and (table.freq[np.unique(ids)] > 0).all()
     data = T.encode(ids, table)
