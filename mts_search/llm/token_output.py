@@ -17,6 +17,7 @@ table gives no blocks.
 
 from __future__ import annotations
 
+import json
 import re
 import struct
 import zlib
@@ -151,27 +152,50 @@ def unpack_block(data: bytes, table: Table) -> tuple[int, int, list[tuple[int |
     return part, start, [(None if z else int(k), x) for k, z, x in zip(keys, null, np.split(ids, np.cumsum(sizes)[:-1]), strict=True)]
 
 
+# The normaliser and splitter under which words and the marks behind them can be encoded apart.
+NORMALIZER = {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": "\\s+"}, "content": " "}, {"type": "Lowercase"}]}
+SPLITTER = {
+    "type": "Sequence",
+    "pretokenizers": [
+        {"type": "Split", "pattern": {"Regex": "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"}, "behavior": "Removed", "invert": True},
+        {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False},
+    ],
+}
+
+
+def _byte_letters() -> dict[int, int]:
+    """Byte-level vocabularies write a printable Latin-1 byte as itself and the others, in order, from U+0100 on."""
+    plain = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+    return dict(zip((b for b in range(256) if b not in plain), range(0x100, 0x200), strict=False))
+
+
 class Memo(dict):
     """Ids, as bytes, of each piece met so far.
 
-    Where the tokenizer ignores case and parts letters from the marks behind them (tested once), a new piece is put
-    together from its lower-case word and its marks; else it is encoded.
+    Where the tokenizer normalises and splits as stated above, a piece of Latin letters and ASCII marks behind them is
+    put together from its lower-case word, which goes to the tokenizer's model, and its marks; any other piece, and
+    every piece of another tokenizer, goes through the whole tokenizer.
     """
 
-    MARKS = ".,;:!?"
+    MARKS, LETTERS = '!"#$%&()*+,-./:;=?@[\\]^_`{|}~', _byte_letters()
 
     def __init__(self, tokenizer) -> None:
         super().__init__()
-        self.tokenizer = tokenizer
-        ids = lambda t: tokenizer.encode(t, add_special_tokens=False).ids
-        self.folds = ids("Abcxyz") == ids("abcxyz") and all(ids("abc" + m) == ids("abc") + ids(m) for m in (*self.MARKS, "?!", "..."))
+        self.tokenizer, self.model = tokenizer, tokenizer.model
+        made = json.loads(tokenizer.to_str())
+        self.parts = made["normalizer"] == NORMALIZER and made["pre_tokenizer"] == SPLITTER and made["model"]["type"] == "BPE" and not made["post_processor"]
 
     def __missing__(self, piece: str) -> bytes:
-        if self.folds:
-            low = piece.lower() if piece.isascii() else piece
+        if self.parts:
+            low = piece.lower()
             core = low.rstrip(self.MARKS)
-            if core != piece and core.isalpha():
-                got = self[piece] = self[core] + self[low[len(core) :]] if len(core) < len(low) else self[core]
+            if core.isalpha() and max(core) < "\u0250":
+                if core == piece:
+                    word = core if core.isascii() else core.encode().decode("latin-1").translate(self.LETTERS)
+                    got = np.array([x.id for x in self.model.tokenize(word)], "<u4").tobytes()
+                else:
+                    got = self[core] + self[low[len(core) :]] if len(core) < len(low) else self[core]
+                self[piece] = got
                 return got
         got = self[piece] = np.array(self.tokenizer.encode(piece, add_special_tokens=False).ids, "<u4").tobytes()
         return got
