@@ -243,6 +243,18 @@ def test_blocks_round_trip(spark, edge):
     assert T.read(T.write(edge, public_tokenizers.path(QS.TOKENIZER))).count() == len(EDGE)
 
 
+def test_pieces_equal_whole_tokenizer():
+    path = public_tokenizers.path(QS.TOKENIZER)
+    pieces = T.Pieces(path, 2)
+    assert pieces.memo.parts  # else the shortcut under test isn't taken
+    texts = [
+        "", " \n\t", "Plain words, twice; plain WORDS!", "\u0130stanbul \u0141\u00d3D\u0179 \u212bngstr\u00f6m \u212a\u212a \u1e9e \u01c5", "e\u0301te\u0301 abc\u0301 \u00aa\u00ba \u00b5 \ufb01", "don't 's ab' it's,",
+        "<|endoftext|> abc<|endoftext|> abc< ABC>", "a\x1cb a\u00a0b a\u2003b", "x\u00b2 12abc abc12 a_b ab___", "\u0250\u0251 \u024f \u024e \u03a3\u0391\u03a3 \u6c34\u706b", *(f"ab{m} {m} {m}ab \u00e9t\u00e9{m}{m}" for m in T.Memo.MARKS),
+    ]
+    for text, got in zip(texts, pieces(texts), strict=True):
+        assert got.tolist() == [*pieces.memo.tokenizer.encode(text, add_special_tokens=False).ids, 2], text
+
+
 def test_mixing(spark, edge, empty):
     cells = {(s, g, t): int(n) for s, g, t, n in [("a", "x", "p", 100), ("a", "y", "p", 50), ("b", "x", "q", 900), ("b", "y", "p", 30), ("c", "y", "q", 10), (None, "x", "q", 60)]}
     got = M.rake(cells, 0.6)
