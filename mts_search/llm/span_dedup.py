@@ -3,7 +3,7 @@
 Each text is cut into sentences (at line ends, and after . ! ? … before white space). From every
 sentence starts the shortest run of consecutive sentences with ``least`` words or more, and at every
 sentence ends the shortest such run; each run is hashed. Runs with equal hashes are joined over all
-documents. The first occurrence (by doc_id, then place) stays; sentences covered by any other
+documents. The first occurrence (by doc_id, hash of the text, then place) stays; sentences covered by any other
 occurrence of a repeated run are removed. Starts and ends both count, so that a repeated passage is
 covered up to its last sentence.
 
@@ -12,7 +12,8 @@ hashes only, so a passage that a third of all documents hold is one row on that
 
 Edge cases: null texts are empty; a text with fewer than ``least`` words in all has no runs and
 stays; copies of a whole document lose all their sentences and get an empty text; rows that share
-doc_id and text are one occurrence and treated alike; a null doc_id sorts last.
+doc_id and text are one occurrence and treated alike; rows that share doc_id alone, or have none,
+are documents of their own; a null doc_id sorts last.
 """
 
 from __future__ import annotations
@@ -33,19 +34,19 @@ def sentences(text: Column) -> Column:
 
 
 def runs(docs: DataFrame, least: int = LEAST) -> DataFrame:
-    """at (doc_id), n (sentences), hash, start, stop of every shortest run from a start or to an end."""
+    """at (doc_id), digest (of the text), hash, start, stop of every shortest run from a start or to an end."""
     import numpy as np
     import pyarrow as pa
     import xxhash
 
-    kept = docs.select("at", F.col("sentences"))
+    kept = docs.select("at", "digest", "sentences")
 
     def run(batches):
         for big in batches:
             for o in range(0, big.num_rows, 128):
                 part = big.slice(o, 128)
-                at, hashes, start, stop = [], [], [], []
-                for key, s in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                at, digests, hashes, start, stop = [], [], [], [], []
+                for key, digest, s in zip(*(part.column(c).to_pylist() for c in range(3)), strict=True):
                     total = np.cumsum([0, *(x.count(" ") + 1 for x in s)])
                     if total[-1] < least:
                         continue
@@ -59,12 +60,13 @@ def runs(docs: DataFrame, least: int = LEAST) -> DataFrame:
                     spans |= set(zip(b[fit].tolist(), e[fit].tolist(), strict=True))
                     for a, z in sorted(spans):
                         at.append(key)
+                        digests.append(digest)
                         hashes.append(xxhash.xxh3_64_intdigest("\n".join(s[a:z]).encode("utf-8", "replace")) - (1 << 63))
                         start.append(a)
                         stop.append(z)
-                yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(hashes, pa.int64()), pa.array(start, pa.int32()), pa.array(stop, pa.int32())], names=["at", "hash", "start", "stop"])
+                yield pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in (at, digests, hashes)), pa.array(start, pa.int32()), pa.array(stop, pa.int32())], names=["at", "digest", "hash", "start", "stop"])
 
-    return kept.mapInArrow(run, "at bigint, hash bigint, start int, stop int")
+    return kept.mapInArrow(run, "at bigint, digest bigint, hash bigint, start int, stop int")
 
 
 def deduplicate(docs: DataFrame, least: int = LEAST) -> DataFrame:
@@ -73,14 +75,14 @@ def deduplicate(docs: DataFrame, least: int = LEAST) -> DataFrame:
     The kept sentences are joined by one newline; a document that loses nothing keeps its text as it was.
     """
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), text_or_empty().alias("text"))
-    rows = rows.withColumn("at", F.coalesce("doc_id", F.lit(_LAST)))
-    spans = runs(rows.select("at", sentences(F.col("text")).alias("sentences")), least)
+    rows = rows.withColumn("at", F.coalesce("doc_id", F.lit(_LAST))).withColumn("digest", F.xxhash64("text", F.col("doc_id").isNull()))
+    spans = runs(rows.select("at", "digest", sentences(F.col("text")).alias("sentences")), least)
     spans = materialize(spans, "spans")
-    place = F.struct("at", "start")
-    repeated = spans.groupBy("hash").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("times")).where("times > 1").select("hash", F.col("first.at").alias("first_at"), F.col("first.start").alias("first_start"))
-    again = spans.join(repeated, "hash").where((F.col("at") != F.col("first_at")) | (F.col("start") != F.col("first_start")))
-    cover = again.select("at", "start", "stop").groupBy("at", "start").agg(F.max("stop").alias("stop")).groupBy("at").agg(F.collect_list(F.struct("start", "stop")).alias("cover"))
-    out = rows.join(cover, "at", "left").withColumn("s", F.when(F.col("cover").isNotNull(), sentences(F.col("text"))))
+    place = F.struct("at", "digest", "start")
+    repeated = spans.groupBy("hash").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("times")).where("times > 1").select("hash", *[F.col(f"first.{c}").alias(f"first_{c}") for c in ("at", "digest", "start")])
+    again = spans.join(repeated, "hash").where((F.col("at") != F.col("first_at")) | (F.col("digest") != F.col("first_digest")) | (F.col("start") != F.col("first_start")))
+    cover = again.select("at", "digest", "start", "stop").groupBy("at", "digest", "start").agg(F.max("stop").alias("stop")).groupBy("at", "digest").agg(F.collect_list(F.struct("start", "stop")).alias("cover"))
+    out = rows.join(cover, ["at", "digest"], "left").withColumn("s", F.when(F.col("cover").isNotNull(), sentences(F.col("text"))))
     hit = lambda i: F.exists("cover", lambda c: (c["start"] <= i) & (i < c["stop"]))
     stay = F.filter("s", lambda x, i: ~hit(i))
     out = out.withColumn("stay", stay)

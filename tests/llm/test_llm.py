@@ -144,6 +144,19 @@ def test_spans(spark, edge, empty):
     assert S.deduplicate(edge).count() == len(EDGE) and S.deduplicate(empty).count() == 0
 
 
+def test_spans_of_rows_that_share_an_id(spark):
+    p = [". ".join(prose(12, 600 + 10 * k + j) for j in range(6)) + "." for k in range(3)]
+    own = lambda i, inner="": prose(40, i) + ".\n" + (inner + "\n" if inner else "") + prose(40, i + 70) + "."
+    # p[0] at the same sentence of two texts without id; p[1] likewise in two texts of id 7; p[2] first in id 0, again in one text of each
+    texts = [(None, own(1, p[0])), (None, own(2, p[0])), (None, own(3)), (7, own(4, p[1])), (7, own(5, p[1])), (7, own(6)), (0, own(8, p[2])), (None, own(9, p[2])), (7, own(10, p[2]))]
+    got = {t: [r["text"] for r in S.deduplicate(frame(spark, texts)).collect() if prose(40, i) in r["text"]] for i, (_, t) in zip((1, 2, 3, 4, 5, 6, 8, 9, 10), texts, strict=True)}
+    whole = {t: own(i) for i, (_, t) in zip((1, 2, 3, 4, 5, 6, 8, 9, 10), texts, strict=True)}
+    assert all(len(v) == 1 for v in got.values())
+    same = [got[t] == [t] for _, t in texts]
+    assert sorted(same[:2]) == sorted(same[3:5]) == [False, True] and same[2] and same[5] and same[6:] == [True, False, False]
+    assert all(got[t] == [whole[t]] for (_, t), kept in zip(texts, same, strict=True) if not kept)
+
+
 def edits(a, b):
     row = [0] * (len(b) + 1)
     for i, x in enumerate(a, 1):
