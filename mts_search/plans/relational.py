@@ -1,4 +1,8 @@
-"""Supporting relational operators on the series tables, each beside its SQL."""
+"""Supporting relational operators on the series tables, each beside its SQL.
+
+The SQL of sliding_dft, of the spectra, pairs and tiles, and of lag_lead_trend, interval_join_windows and
+array_distance still holds to a few series or vectors; the queries here run over whole tables.
+"""
 
 from __future__ import annotations
 
@@ -69,8 +73,8 @@ ZSCORE_SQL = f"select series_id, start, t - start as j, round((v - avg(v) over (
 
 
 def sliding_dft(spark, d):
-    """Bins 1-3 of every window of five suppliers: window sums of modulated values, turned by the start."""
-    p = sw(spark, d).where("channel = 0 and series_id <= 5")
+    """Bins 1-3 of every window of every supplier: window sums of modulated values, turned by the start."""
+    p = sw(spark, d).where("channel = 0")
     w = Window.partitionBy("series_id").orderBy("t").rowsBetween(0, Q - 1)
     out = None
     for b in (1, 2, 3):
@@ -85,17 +89,35 @@ DFT_SQL = " union all ".join(
     f"select p.series_id, s.start, cast({b} as integer) as bin, round(sum(v * cos({2 * math.pi * b / Q!r} * (t - s.start))), 3) + 0.0 as re, round(-sum(v * sin({2 * math.pi * b / Q!r} * (t - s.start))), 3) + 0.0 as im from (select * from ({SW}) where channel = 0 and series_id <= 5) p join (select unnest(range(0, {357 - Q + 1})) as start) s on p.t >= s.start and p.t < s.start + {Q} group by 1, 2" for b in (1, 2, 3)
 )
 
-#: Windows whose spectra the study keys look at: start 0, 52, ... of the first five series.
+#: Windows that the SQL of the study keys looks at: start 0, 52, ... of the first five series.
 STARTS = "series_id <= 5 and t < 312"
 
+#: Windows in the sample whose pairs show the bins' shares of distance and the bounds.
+SAMPLE = 100
+
+
+def _weight() -> F.Column:
+    return F.when((F.col("bin") == 0) | (F.col("bin") == Q // 2), 1.0).otherwise(2.0)
+
+
+def _with_bins(p: DataFrame) -> DataFrame:
+    return p.withColumn("bin", F.explode(F.sequence(F.lit(0), F.lit(Q // 2))))
+
+
+def _sample(p: DataFrame) -> DataFrame:
+    """(series_id, start) of ``SAMPLE`` windows drawn by hash among every start of every series."""
+    span = p.groupBy("series_id").agg(F.min("t").alias("a"), (F.max("t") - Q + 1).alias("b")).where("b >= a")
+    every = span.select("series_id", F.explode(F.sequence("a", "b")).alias("start"))
+    return every.orderBy(F.xxhash64("series_id", "start"), "series_id", "start").limit(SAMPLE)
+
 
-def _spectra(spark, d, bins: int = 6) -> DataFrame:
-    """(series_id, w, channel, bin, re, im, weight) of consecutive windows, bins 0..bins-1."""
-    p = sw(spark, d).where(STARTS).withColumn("w", F.floor(F.col("t") / Q)).withColumn("j", F.col("t") % Q)
-    b = p.withColumn("bin", F.explode(F.sequence(F.lit(0), F.lit(Q // 2))))
-    a = F.lit(2 * math.pi / Q) * F.col("bin") * F.col("j")
-    s = b.groupBy("series_id", "w", "channel", "bin").agg(F.sum(F.col("v") * F.cos(a)).alias("re"), (-F.sum(F.col("v") * F.sin(a))).alias("im"))
-    return s.withColumn("weight", F.when((F.col("bin") == 0) | (F.col("bin") == Q // 2), 1.0).otherwise(2.0))
+def _spectra(spark, d) -> DataFrame:
+    """(series_id, start, id, channel, bin, re, im, weight) of the sampled windows, all bins."""
+    p = sw(spark, d)
+    b = _with_bins(p.join(F.broadcast(_sample(p)), "series_id").where(f"t >= start and t < start + {Q}"))
+    a = F.lit(2 * math.pi / Q) * F.col("bin") * (F.col("t") - F.col("start"))
+    s = b.groupBy("series_id", "start", "channel", "bin").agg(F.sum(F.col("v") * F.cos(a)).alias("re"), (-F.sum(F.col("v") * F.sin(a))).alias("im"))
+    return s.withColumn("weight", _weight()).withColumn("id", F.col("series_id") * 1000 + F.col("start"))
 
 
 _SPEC_SQL = f"""with p as materialized (select *, t // {Q} as w, t % {Q} as j from ({SW}) where {STARTS}), b as (select unnest(range(0, {Q // 2 + 1})) as bin),
@@ -103,9 +125,14 @@ spec as materialized (select series_id, w, channel, cast(bin as integer) as bin,
 
 
 def energy_by_bin(spark, d):
-    e = _spectra(spark, d).withColumn("e", F.col("weight") * (F.col("re") ** 2 + F.col("im") ** 2))
-    total = F.sum("e").over(Window.partitionBy("series_id", "w", "channel"))
-    share = e.withColumn("share", F.col("e") / total).groupBy("channel", "bin").agg(F.avg("share").alias("share"))
+    """Mean share of a window's energy by bin over every window of every series; all bins together hold Q times the sum of squares."""
+    w = Window.partitionBy("series_id", "channel", "bin").orderBy("t").rowsBetween(0, Q - 1)
+    a = F.lit(2 * math.pi / Q) * F.col("bin") * F.col("t")
+    e = _with_bins(sw(spark, d).repartition("series_id", "channel")).select(
+        "channel", "bin", F.sum(F.col("v") * F.cos(a)).over(w).alias("c"), F.sum(F.col("v") * F.sin(a)).over(w).alias("s"), F.sum(F.col("v") * F.col("v")).over(w).alias("own"), F.count(F.lit(1)).over(w).alias("n")
+    )
+    part = _weight() * (F.col("c") ** 2 + F.col("s") ** 2) / F.nullif(F.col("own") * F.lit(float(Q)), F.lit(0.0))
+    share = e.where(f"n = {Q}").groupBy("channel", "bin").agg(F.avg(part).alias("share"))
     run = F.sum("share").over(Window.partitionBy("channel").orderBy(F.desc("share"), "bin").rowsBetween(Window.unboundedPreceding, 0))
     return share.select("channel", "bin", F.round("share", 5).alias("share"), F.round(run, 5).alias("cumulative"))
 
@@ -114,11 +141,11 @@ ENERGY_SQL = f"{_SPEC_SQL}, s as (select channel, bin, avg(share) as share from
 
 
 def _pair_shares(spark, d) -> DataFrame:
-    s = _spectra(spark, d).withColumn("id", F.col("series_id") * 10 + F.col("w"))
+    s = _spectra(spark, d)
     a, b = s.alias("a"), s.alias("b")
     pairs = a.join(b, (F.col("a.channel") == F.col("b.channel")) & (F.col("a.bin") == F.col("b.bin")) & (F.col("a.id") < F.col("b.id")))
     e = pairs.select(F.col("a.id").alias("i"), F.col("b.id").alias("k"), F.col("a.channel").alias("channel"), F.col("a.bin").alias("bin"), (F.col("a.weight") * ((F.col("a.re") - F.col("b.re")) ** 2 + (F.col("a.im") - F.col("b.im")) ** 2)).alias("e"))
-    return e.withColumn("share", F.col("e") / F.sum("e").over(Window.partitionBy("i", "k", "channel"))).groupBy("channel", "bin").agg(F.avg("share").alias("share"))
+    return e.withColumn("share", F.col("e") / F.nullif(F.sum("e").over(Window.partitionBy("i", "k", "channel")), F.lit(0.0))).groupBy("channel", "bin").agg(F.avg("share").alias("share"))
 
 
 _ARDC = f"{_SPEC_SQL}, x as (select a.series_id * 10 + a.w as i, b.series_id * 10 + b.w as k, a.channel, a.bin, a.weight * ((a.re - b.re) ** 2 + (a.im - b.im) ** 2) as e from spec a join spec b on a.channel = b.channel and a.bin = b.bin and a.series_id * 10 + a.w < b.series_id * 10 + b.w), s as (select channel, bin, avg(share) as share from (select *, e / sum(e) over (partition by i, k, channel) as share from x) group by 1, 2)"
@@ -139,7 +166,7 @@ SELECTED_SQL = f"{_ARDC} select channel, bin from (select *, coalesce(sum(share)
 
 def _bound_pairs(spark, d, pivot: bool) -> DataFrame:
     """Bound from bins 0-3 against the true squared distance of window pairs (Parseval: all bins give it exactly)."""
-    s = _spectra(spark, d).where("channel = 0").withColumn("id", F.col("series_id") * 10 + F.col("w"))
+    s = _spectra(spark, d).where("channel = 0")
     a, b = s.alias("a"), s.alias("b")
     e = a.join(b, (F.col("a.bin") == F.col("b.bin")) & (F.col("a.id") < F.col("b.id"))).select(F.col("a.id").alias("i"), F.col("b.id").alias("k"), F.col("a.bin").alias("bin"), (F.col("a.weight") * ((F.col("a.re") - F.col("b.re")) ** 2 + (F.col("a.im") - F.col("b.im")) ** 2) / Q).alias("e"))
     out = e.groupBy("i", "k").agg(F.sum(F.when(F.col("bin") <= 3, F.col("e")).otherwise(0.0)).alias("lb2"), F.sum("e").alias("d2"))
@@ -148,7 +175,7 @@ def _bound_pairs(spark, d, pivot: bool) -> DataFrame:
         mean = rest.groupBy("bin").agg(F.avg("re").alias("mr"), F.avg("im").alias("mi"))
         gap = rest.join(F.broadcast(mean), "bin").groupBy("id").agg(F.sqrt(F.sum(F.col("weight") * ((F.col("re") - F.col("mr")) ** 2 + (F.col("im") - F.col("mi")) ** 2)) / Q).alias("g"))
         out = out.join(F.broadcast(gap.select(F.col("id").alias("i"), F.col("g").alias("g1"))), "i").join(F.broadcast(gap.select(F.col("id").alias("k"), F.col("g").alias("g2"))), "k").withColumn("lb2", F.col("lb2") + (F.col("g1") - F.col("g2")) ** 2)
-    return out.select("i", "k", F.round("lb2", 3).alias("lb2"), F.round("d2", 3).alias("d2"), F.round(F.sqrt(F.col("lb2") / F.col("d2")), 4).alias("tightness"))
+    return out.select("i", "k", F.round("lb2", 3).alias("lb2"), F.round("d2", 3).alias("d2"), F.round(F.sqrt(F.col("lb2") / F.nullif(F.col("d2"), F.lit(0.0))), 4).alias("tightness"))
 
 
 def _bound_sql(pivot: bool) -> str:
@@ -173,7 +200,7 @@ TILE_SQL = f"with v as (select * from (values {', '.join(f'({i}, {s})' for i, s
 
 def _labelled(spark, d) -> DataFrame:
     """Window means and deviations with an ntile(8) of the mean and an ntile(4) of the deviation within it."""
-    p = rolling_stats(spark, d).where("series_id <= 20")
+    p = rolling_stats(spark, d)
     p = p.withColumn("a", F.ntile(8).over(Window.orderBy("mean", "series_id", "start")))
     return p.withColumn("b", F.ntile(4).over(Window.partitionBy("a").orderBy("sd", "series_id", "start")))
 
@@ -210,11 +237,11 @@ def compression_stats(spark, d):
 
 
 def interval_join_windows(spark, d):
-    """Orders of nation 7 by week beside the runs of supplier 1 whose windows cover the week."""
-    runs = _islands(_labelled(spark, d)).where("series_id = 1").select("first_start", (F.col("last_start") + Q - 1).alias("last_t"))
+    """Orders of nation 7 by week beside the number of runs, of all suppliers, whose windows cover the week."""
+    weeks = _islands(_labelled(spark, d)).select(F.explode(F.sequence("first_start", F.col("last_start") + Q - 1)).alias("week")).groupBy("week").agg(F.count(F.lit(1)).alias("n_runs"))
     customers = X.table(spark, d, "customer").where("c_nationkey = 7").select("c_custkey")
     orders = X.table(spark, d, "orders").join(F.broadcast(customers), F.col("o_custkey") == F.col("c_custkey"), "left_semi").select("o_orderkey", F.floor(X.days_since("o_orderdate", "1995-01-02") / 7).alias("week"))
-    return orders.join(F.broadcast(runs), (F.col("week") >= F.col("first_start")) & (F.col("week") <= F.col("last_t"))).groupBy("o_orderkey").agg(F.count(F.lit(1)).alias("n_runs"))
+    return orders.join(F.broadcast(weeks), "week").groupBy("o_orderkey").agg(F.sum("n_runs").alias("n_runs"))
 
 
 INTERVAL_SQL = f"{_ISLAND_SQL}, o as (select o_orderkey, floor(datediff('day', date '1995-01-02', cast(o_orderdate as date)) / 7) as week from orders join customer on o_custkey = c_custkey where c_nationkey = 7) select o_orderkey, count(*) as n_runs from o join r2 on week >= first_start and week <= last_start + {Q - 1} where series_id = 1 group by 1"
@@ -303,7 +330,7 @@ SETS_SQL = f"with p as materialized ({SW}), a as (select series_id from p where
 
 def lag_lead_trend(spark, d):
     w = Window.partitionBy("series_id", "channel").orderBy("t")
-    p = sw(spark, d).where("series_id <= 10").withColumn("d", F.col("v") - F.lag("v").over(w)).withColumn("e", F.lead("v").over(w) - F.col("v"))
+    p = sw(spark, d).withColumn("d", F.col("v") - F.lag("v").over(w)).withColumn("e", F.lead("v").over(w) - F.col("v"))
     return p.groupBy("series_id", "channel").agg(F.count_if((F.col("d") > 0) & (F.col("e") < 0)).alias("peaks"), F.sum(F.abs("d")).alias("path"))
 
 
@@ -322,7 +349,7 @@ PCT_SQL = f"select channel, round(quantile_cont(v, 0.05), 4) as p05, round(quant
 
 
 def array_distance(spark, d):
-    v = X.table(spark, d, "embeddings").where("vec_id < 50").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
+    v = X.table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
     base = v.where("vec_id = 0").select(F.col("e").alias("b"))
     dist = F.sqrt(F.aggregate(F.zip_with("e", "b", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
     return v.crossJoin(F.broadcast(base)).select("vec_id", F.round(dist, 4).alias("distance"))
