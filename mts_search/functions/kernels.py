@@ -149,6 +149,23 @@ def direct(x: np.ndarray, y: np.ndarray, starts: np.ndarray, normalized: bool =
     return ((w - y[:, None, :]) ** 2).sum(axis=(0, 2))
 
 
+def nearest(x: np.ndarray, y: np.ndarray, q: int) -> np.ndarray:
+    """Squared distance of every window of x to its nearest window of y; exact for whole numbers.
+
+    Running sums along the diagonals of the squared differences give all pairs of starts, a row of sums at a time.
+    """
+    n, m = len(x) - q + 1, len(y) - q + 1
+    if n <= 0 or m <= 0:
+        return np.zeros(0, x.dtype)
+    best = np.empty(n, x.dtype)
+    run = np.zeros((q + 1, len(y) + 1), x.dtype)  # rows of running sums, the last q + 1 of them
+    for i in range(1, len(x) + 1):
+        run[i % (q + 1), 1:] = run[(i - 1) % (q + 1), :-1] + (x[i - 1] - y) ** 2
+        if i >= q:
+            best[i - q] = (run[i % (q + 1), q:] - run[(i - q) % (q + 1), :m]).min()
+    return best
+
+
 def pivot_gaps(x: np.ndarray, q: int, dims, features: np.ndarray, pivots: np.ndarray, normalized: bool = False) -> np.ndarray:
     """Distance of every window's remainder to each pivot, by channel: (windows, channels * pivots).
 

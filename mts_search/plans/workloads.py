@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..baselines import methods as B
+from ..functions import kernels as K
 from ..operators import fixtures as X
 from ..operators import index as I
 from ..operators.series import indexed_part, query_points, to_chunks
@@ -173,14 +176,28 @@ select query_id, vec_id, label as predicted, label = truth as correct from (sele
 
 
 def discords(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The three windows among every 13th of nation's series farthest from their nearest window of another series."""
+    """The three windows of nation's series farthest from their nearest window of another series, over all starts of both.
+
+    Pairs of series meet by a cross join; each gives the nearest distance of every window of the one. ``DISCORD_SQL`` looks at every
+    13th start only, and at neighbours up to 13 weeks away.
+    """
+    ship(spark)
     p = points_of(spark, sf_dir, "nation").where("channel = 0")
-    starts = p.where("t % 13 = 0").select("series_id", F.col("t").alias("start"))
-    w = p.join(F.broadcast(starts), "series_id").where((F.col("t") >= F.col("start")) & (F.col("t") < F.col("start") + 52)).select("series_id", "start", (F.col("t") - F.col("start")).alias("j"), "v")
-    full = w.groupBy("series_id", "start").agg(F.count(F.lit(1)).alias("n")).where("n = 52").drop("n")
-    w = w.join(full, ["series_id", "start"], "left_semi").repartition("j").persist()
-    pairs = w.alias("a").join(w.alias("b"), (F.col("a.j") == F.col("b.j")) & (F.col("a.series_id") != F.col("b.series_id")) & (F.abs(F.col("a.start") - F.col("b.start")) <= 13))
-    d = pairs.groupBy("a.series_id", "a.start", F.col("b.series_id").alias("s2"), F.col("b.start").alias("t2")).agg(F.sum((F.col("a.v") - F.col("b.v")) * (F.col("a.v") - F.col("b.v"))).alias("d2"))
+    lines = p.groupBy("series_id").agg(F.sort_array(F.collect_list(F.struct("t", "v"))).alias("l")).select("series_id", F.col("l.t")[0].alias("base"), F.col("l.v").alias("v"))
+    other = lines.select(F.col("series_id").alias("o"), F.col("v").alias("y"))
+    pairs = lines.repartition("series_id").join(F.broadcast(other), F.col("series_id") != F.col("o")).select("series_id", "base", "v", "y")
+
+    def run(batches):
+        for rows in batches:
+            ids, starts, best = [], [], []
+            for r in rows.to_pylist():
+                d = K.nearest(np.array(r["v"], np.int64), np.array(r["y"], np.int64), 52)
+                ids += [r["series_id"]] * len(d)
+                starts += range(r["base"], r["base"] + len(d))
+                best += d.tolist()
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (ids, starts, best)], names=["series_id", "start", "d2"])
+
+    d = pairs.mapInArrow(run, "series_id bigint, start bigint, d2 bigint")
     return d.groupBy("series_id", "start").agg(F.min("d2").alias("nearest_d2")).orderBy(F.desc("nearest_d2"), "series_id", "start").limit(3)
 
 

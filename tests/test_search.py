@@ -126,3 +126,19 @@ def test_sources_and_sql(spark, tmp_path):
     got = spark.sql("select * from knn_subsequences(array(0D, 1D, 5D, 1D, 0D), array(1D, 5D), 1)").first()
     assert (got["start"], got["distance"]) == (1, 0.0)
     assert spark.sql("select * from windows_of(array(1D, 2D, 3D), 2)").count() == 2
+
+
+def test_discords_of_all_starts(spark, monkeypatch):
+    import numpy as np
+
+    from mts_search.plans import workloads as W
+
+    g = np.random.default_rng(8)
+    x = {i: g.integers(0, 9, 75) for i in (2, 4, 9)}
+    x[9][:] = np.roll(x[2], 20)  # a close match at another, farther start
+    x[4][5:57] = np.roll(x[4], 7)[5:57] * 40
+    df = spark.createDataFrame([(i, 0, t, int(v)) for i, a in x.items() for t, v in enumerate(a)], "series_id bigint, channel int, t bigint, v bigint")
+    monkeypatch.setattr(W, "points_of", lambda *_: df)
+    cut = {i: [a[s : s + 52] for s in range(24)] for i, a in x.items()}
+    d = sorted((-min(int(((w - u) ** 2).sum()) for o in cut if o != i for u in cut[o]), i, s) for i in cut for s, w in enumerate(cut[i]))
+    assert [(-r["nearest_d2"], r["series_id"], r["start"]) for r in W.discords(spark, "").collect()] == d[:3]
