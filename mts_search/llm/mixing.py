@@ -10,7 +10,7 @@ Default targets temper the corpus' own shares (share ** ``power``, normalised).
 form of a text: of few words, of many words, of digits, of symbols, or prose.
 
 Cells are few and go to the driver if there are at most ``most`` of them; beyond that the same raking
-runs on a table in the cluster, one pass a marginal, until no share moves by more than a millionth.
+runs on a table in the cluster, one pass a marginal, with the same targets, tolerance and round limit.
 
 Edge cases: null source or language is a value of its own; a null text is empty and has 0 tokens,
 its document stays with its cell's probability (cells without tokens keep weight 1); a target for
@@ -29,6 +29,8 @@ from pyspark.sql import functions as F
 from .common import materialize, text_or_empty
 
 DIMS = ("source", "lang", "topic")
+TOLERANCE = 1e-9
+MOST_ROUNDS = 500
 
 
 def tokens_of(text: Column) -> Column:
@@ -61,7 +63,7 @@ def target_shares(tokens: dict, power: float, given: dict | None = None) -> dict
     return {v: x / z for v, x in raw.items()} if z > 0 else {v: 1 / len(raw) for v in raw}
 
 
-def rake(cells: dict[tuple, int], budget: float, power: float = 0.7, targets: dict[str, dict] | None = None, tolerance: float = 1e-9, most_rounds: int = 500) -> Rake:
+def rake(cells: dict[tuple, int], budget: float, power: float = 0.7, targets: dict[str, dict] | None = None, tolerance: float = TOLERANCE, most_rounds: int = MOST_ROUNDS) -> Rake:
     """Raking of the cells' weights (cell: tokens), then the probability of each cell."""
     keys = sorted(cells, key=lambda k: tuple((x is None, str(x)) for x in k))
     n = np.array([cells[k] for k in keys], float)
@@ -103,24 +105,35 @@ def scale_for(w: np.ndarray, n: np.ndarray, budget: float) -> float:
     return 1.0 / w[w > 0].min() if (w > 0).any() else 1.0
 
 
-def rake_table(cells: DataFrame, power: float, rounds: int = 200, tolerance: float = 1e-6) -> DataFrame:
+def rake_table(cells: DataFrame, power: float, rounds: int = MOST_ROUNDS, tolerance: float = TOLERANCE, targets: dict[str, dict] | None = None) -> DataFrame:
     """The same raking for cells beyond the driver's bound: cells with tokens ``n`` gain ``w``; a pass a marginal, sums pre-aggregated."""
     cells = cells.withColumn("w", F.lit(1.0))
+    spark = cells.sparkSession
     shares = {}
     for d in DIMS:
-        own = cells.groupBy(d).agg(F.sum("n").alias("own")).where("own > 0").withColumn("raw", F.pow(F.col("own").cast("double"), F.lit(power)))
-        z = own.agg(F.sum("raw")).first()[0] or 1.0
-        shares[d] = materialize(own.select(F.col(d).alias("v"), (F.col("raw") / z).alias("share")), "shares")
+        own = cells.groupBy(d).agg(F.sum("n").alias("own")).where("own > 0")
+        given = (targets or {}).get(d)
+        if given:
+            wanted = spark.createDataFrame([(v, float(x)) for v, x in given.items()], "__v string, __x double")
+            own = own.join(wanted, own[d].eqNullSafe(wanted["__v"]), "left").withColumn("raw", F.coalesce("__x", F.lit(0.0)))
+        else:
+            own = own.withColumn("raw", F.pow(F.col("own").cast("double"), F.lit(power)))
+        z, values = own.agg(F.sum("raw"), F.count(F.lit(1))).first()
+        share = F.col("raw") / z if z else F.lit(1.0 / max(values, 1))
+        shares[d] = materialize(own.select(F.col(d).alias("v"), share.alias("share")), "shares")
+
+    def sums(d):
+        every = cells.groupBy(d).agg(F.sum(F.col("w") * F.col("n")).alias("now")).where("now > 0")
+        now = every.crossJoin(F.broadcast(every.agg(F.sum("now").alias("total"))))
+        return now.join(shares[d], now[d].eqNullSafe(shares[d]["v"])).select("v", "share", "now", "total")
+
     for _ in range(rounds):
-        off = 0.0
         for d in DIMS:
-            total = cells.agg(F.sum(F.col("w") * F.col("n"))).first()[0] or 1.0
-            now = cells.groupBy(d).agg(F.sum(F.col("w") * F.col("n")).alias("now")).where("now > 0")
-            by = now.join(shares[d], now[d].eqNullSafe(shares[d]["v"])).select(F.col("v"), (F.col("share") * total / F.col("now")).alias("by"))
-            off = max(off, by.agg(F.max(F.abs(F.col("by") - 1))).first()[0] or 0.0)
+            by = sums(d).select("v", (F.col("share") * F.col("total") / F.col("now")).alias("by"))
             cells = cells.join(by, cells[d].eqNullSafe(by["v"]), "left").withColumn("w", F.col("w") * F.coalesce("by", F.lit(1.0))).drop("v", "by")
         cells = materialize(cells, "cells")
-        if off < tolerance:
+        gaps = [sums(d).agg(F.max(F.abs(F.col("now") / F.col("total") - F.col("share"))).alias("gap")) for d in DIMS]
+        if (gaps[0].union(gaps[1]).union(gaps[2]).agg(F.max("gap")).first()[0] or 0.0) < tolerance:
             break
     return cells
 
@@ -140,7 +153,7 @@ def mix(docs: DataFrame, budget: float = 0.8, power: float = 0.7, targets: dict[
         got = rake({(r["source"], r["lang"], r["topic"]): r["n"] for r in first}, budget, power, targets)
         table = F.broadcast(spark.createDataFrame([(*k, w, p) for k, w, p, _ in got.cells], schema))
     else:
-        table = rake_table(materialize(cells, "cells"), power)
+        table = rake_table(materialize(cells, "cells"), power, targets=targets)
         lo, hi = 0.0, 1e12
         total = table.agg(F.sum("n")).first()[0] or 1
         for _ in range(60):

@@ -290,6 +290,17 @@ def test_mixing(spark, edge, empty):
     assert M.mixed(edge).columns == edge.columns and M.mix(empty).count() == 0
 
 
+def test_mixing_table_with_given_targets(spark):
+    cells = [("a", "x", 100), ("a", "y", 50), ("b", "x", 90), ("b", "y", 60), (None, "x", 60), (None, "y", 80)]
+    docs = spark.createDataFrame([(i, "w " * n, g, s, 2 * n) for i, (s, g, n) in enumerate(cells)], SCHEMA).cache()
+    targets = {"source": {"a": 0.5, "b": 0.3, None: 0.2, "gone": 3.0}, "lang": {"x": 0.6, "y": 0.4}}
+    few = {r["doc_id"]: r for r in M.mix(docs, 0.6, targets=targets).collect()}
+    many = {r["doc_id"]: r for r in M.mix(docs, 0.6, targets=targets, most=2).collect()}
+    assert [many[i]["probability"] for i in range(6)] == pytest.approx([few[i]["probability"] for i in range(6)], abs=1e-6)
+    kept = {s: sum(many[i]["weight"] * n for i, (t, _, n) in enumerate(cells) if s == t) for s in ("a", "b", None)}
+    assert [kept[s] / sum(kept.values()) for s in kept] == pytest.approx([0.5, 0.3, 0.2], abs=1e-6)
+
+
 def test_licences(spark, edge):
     s = L.Scanner()
     got = s.scan("Foo ALL rights-reserved; all rights reserved. Released under the MIT License.")
