@@ -177,17 +177,20 @@ class Scanner:
         out = []
         for t, found in anchors.items():
             chains: list[list[int]] = []  # [start, end, template end, matched]
+            near: list[list[int]] = []  # those that end within the gap; anchors come in order of text, so the others are done
             for s, p, n in sorted(found):
                 best = None
-                for c in chains[-32:]:
+                near = [c for c in near if s - c[1] <= self.gap]
+                for c in near:
                     skip = max(c[1] - s, c[2] - p, 0)  # words that both anchors hold
-                    if n > skip and s - c[1] <= self.gap and p - c[2] <= 4 * self.gap and s + n > c[1] and p + n > c[2] and (best is None or c[3] > best[0][3]):
+                    if n > skip and p - c[2] <= 4 * self.gap and s + n > c[1] and p + n > c[2] and (best is None or c[3] > best[0][3]):
                         best = c, skip
                 if best:
                     c, skip = best
                     c[1], c[2], c[3] = s + n, p + n, c[3] + n - skip
                 else:
-                    chains.append([s, s + n, p + n, n])
+                    near.append([s, s + n, p + n, n])
+                    chains.append(near[-1])
             out += [(t, c[0], c[1], c[3]) for c in chains if c[3] >= min(self.sizes[t], max(self.least, self.share * self.sizes[t], 5 if self.sizes[t] >= 5 else 0))]
         return sorted(out, key=lambda x: (x[1], x[2], x[0]))
 

@@ -320,6 +320,14 @@ def test_licences(spark, edge):
     assert L.scan(edge).count() == len(EDGE)
 
 
+def test_licence_chain_outlives_stray_runs():
+    name = lambda i: "w" + "".join(chr(97 + int(c)) for c in f"{i:04d}")
+    body = [name(i) for i in range(200)]
+    s = L.Scanner({"long": (" ".join([*(f"of the work {name(1000 + i)}" for i in range(40)), *body]),)}, phrases=(), least=3, gap=20, share=0.5)
+    got = s.scan(" ".join([*body[:100], "unknown of the work unknown", *body[100:]]))
+    assert got["labels"] == "long" and got["n_spans"] == 1 and got["score"] == pytest.approx(200 / 360)
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
