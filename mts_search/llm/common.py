@@ -29,14 +29,29 @@ def scratch(spark: SparkSession) -> str:
 def materialize(df: DataFrame, tag: str) -> DataFrame:
     """Write ``df`` as Parquet to the shared folder and read it back: cuts the lineage for good.
 
-    Unlike ``localCheckpoint`` the files outlive an executor.
+    Unlike ``localCheckpoint`` the files outlive an executor. They go when the application ends.
     """
     spark = df.sparkSession
     path = f"{scratch(spark)}/{tag}_{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    drop_at_end(spark, path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def drop_at_end(spark: SparkSession, path: str) -> None:
+    """Have the driver's file system delete an existing path when the application ends."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(where)
+
+
+def fresh(name: str, taken: list[str]) -> str:
+    """``name``, lengthened until no column (in any case) has it."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
+
+
 def text_or_empty(name: str = "text"):
     """A text column in which null counts as the empty text."""
     return F.coalesce(F.col(name).cast("string"), F.lit(""))

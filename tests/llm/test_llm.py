@@ -207,16 +207,66 @@ def test_ngram_join(spark, edge, empty):
             texts.append(" ".join(w))
     docs = frame(spark, list(enumerate(texts)))
     sets = {t: J.shingles(t) for t in texts}
-    want = {}
-    for i, t in enumerate(texts):
-        want[i] = (texts.index(t), texts.count(t), sum(len(sets[t] & sets[u]) >= 0.8 * len(sets[t] | sets[u]) for u in sets if u != t))
+    near = lambda t, u: len(sets[t] & sets[u]) >= 0.8 * len(sets[t] | sets[u])
+    group = components({t: [u for u in sets if u != t and near(t, u)] for t in sets})
+    want = {i: (min(texts.index(u) for u in group[t]), texts.count(t), sum(near(t, u) for u in sets if u != t)) for i, t in enumerate(texts)}
     assert {r["doc_id"]: (r["class_id"], r["n_copies"], r["n_links"]) for r in J.counted(docs).collect()} == want
-    kept = {r["doc_id"] for r in J.one_of_each(docs).collect()}
-    assert 0 in kept and 1 not in kept and len(kept) >= 8
-    _, classes, links = J.join(docs)
-    assert all(r["similarity"] >= 0.8 for r in links.collect()) and J.components(links).count() <= classes.count()
+    assert {r["doc_id"] for r in J.one_of_each(docs).collect()} == {c for c, _, _ in want.values()}
+    found = J.join(docs)
+    assert all(r["similarity"] >= 0.8 for r in found.links.collect()) and found.groups.count() <= found.classes.count()
     assert J.counted(edge).count() == len(EDGE) and J.one_of_each(edge).columns == edge.columns and J.counted(empty).count() == 0
+    assert J.one_of_each(empty).count() == 0
     assert {r["doc_id"] for r in J.one_of_each(edge).collect()} == {1, None, 3, 5, 6}
+    clash = edge.withColumn("__k", F.lit(1)).withColumn("__AT", F.lit(2))
+    assert J.one_of_each(clash).columns == clash.columns and J.one_of_each(clash).count() == 5
+
+
+def components(links):
+    """Each node's connected component, by walking."""
+    out = {}
+    for x in links:
+        if x not in out:
+            seen, wait = {x}, [x]
+            while wait:
+                for y in links[wait.pop()]:
+                    if y not in seen:
+                        seen.add(y)
+                        wait.append(y)
+            out |= dict.fromkeys(seen, seen)
+    return out
+
+
+def changed(base, times, tag):
+    w = list(base)
+    for at in G.choice(len(w), times, replace=False).tolist():
+        w[at] = f"{tag}x{at}"
+    return " ".join(w)
+
+
+def test_groups_at_the_threshold(spark):
+    """Texts whose pairs lie on both sides of the threshold, in buckets beyond the all-pairs size."""
+    base = prose(150, 77).split()
+    texts = [changed(base, int(G.integers(1, 6)), f"t{i}") for i in range(220)]
+    sets = [J.shingles(t) for t in texts]
+    near = {i: [j for j in range(len(texts)) if i != j and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])] for i in range(len(texts))}
+    group = components(near)
+    docs = frame(spark, list(enumerate(texts)))
+    members = J.buckets(J.signatures(docs))
+    assert members.agg(F.max("size")).first()[0] > 2 * J.SMALL
+    got = {r["doc_id"]: r["class_id"] for r in J.counted(docs).collect()}
+    assert got == {i: min(group[i]) for i in got} and 1 < len(set(got.values())) < 220
+
+
+def test_large_groups_cost_in_proportion(spark):
+    near, same = 3000, 3000
+    base = prose(100, 78).split()
+    rows = [(i, changed(base, 1, f"t{i}")) for i in range(near)] + [(10_000 + i, "the very same text here " + prose(40, 79)) for i in range(same)] + [(20_000 + i, prose(60, 5000 + i)) for i in range(50)]
+    docs = frame(spark, rows)
+    found = J.join(docs)
+    assert found.links.count() < 30 * near
+    got = {r["doc_id"]: (r["class_id"], r["n_copies"]) for r in J.counted(docs).collect()}
+    assert all(got[i][0] == 0 for i in range(near)) and all(got[10_000 + i] == (10_000, same) for i in range(same)) and all(got[20_000 + i] == (20_000 + i, 1) for i in range(50))
+    assert J.one_of_each(docs).count() == 52
 
 
 def test_pruning_keeps_similar_pairs():
