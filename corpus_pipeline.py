@@ -12,7 +12,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from mts_search.llm import decontaminate, mixing, ngram_join, token_output, toxicity
-from mts_search.llm.common import scratch, table
+from mts_search.llm.common import drop_at_end, scratch, table
 from mts_search.llm.queries import TOKENIZER
 from mts_search.session import ship
 
@@ -67,5 +67,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for name, stage in STAGES:
         out = stage(spark, docs, sf_dir)
         out.write.parquet(f"{base}/{name}")
+        drop_at_end(spark, f"{base}/{name}")
         docs = spark.read.schema(out.schema).parquet(f"{base}/{name}")
     return docs
