@@ -1,8 +1,4 @@
-"""Supporting relational operators on the series tables, each beside its SQL.
-
-The SQL of sliding_dft, of the spectra, pairs and tiles, and of lag_lead_trend, interval_join_windows and
-array_distance still holds to a few series or vectors; the queries here run over whole tables.
-"""
+"""Supporting relational operators on the series tables, each beside its SQL; both over whole tables."""
 
 from __future__ import annotations
 
@@ -72,26 +68,28 @@ def zscore_windows(spark, d):
 ZSCORE_SQL = f"select series_id, start, t - start as j, round((v - avg(v) over (partition by series_id, start)) / stddev_pop(v) over (partition by series_id, start), 4) as z from ({SW}) join (values (1, 10), (2, 100), (3, 200)) s(id, start) on series_id = id where channel = 0 and t >= start and t < start + {Q}"
 
 
+def _window_sums(p: DataFrame, keys: list[str], **terms) -> DataFrame:
+    """For each window of Q steps from ``t`` the sums of the terms, as differences of running sums: linear in the steps."""
+    w = Window.partitionBy(*keys).orderBy("t")
+    run = p.select(*keys, "t", *[F.sum(x).over(w.rowsBetween(Window.unboundedPreceding, 0)).alias(n) for n, x in terms.items()])
+    ends = run.select(*keys, "t", *[(F.lead(n, Q - 1).over(w) - F.coalesce(F.lag(n).over(w), F.lit(0))).alias(n) for n in terms])
+    return ends.where(F.col(next(iter(terms))).isNotNull())
+
+
 def sliding_dft(spark, d):
     """Bins 1-3 of every window of every supplier: window sums of modulated values, turned by the start."""
     p = sw(spark, d).where("channel = 0")
-    w = Window.partitionBy("series_id").orderBy("t").rowsBetween(0, Q - 1)
-    out = None
-    for b in (1, 2, 3):
-        a = F.lit(2 * math.pi * b / Q) * F.col("t")
-        s = p.select("series_id", "t", F.sum(F.col("v") * F.cos(a)).over(w).alias("c"), F.sum(F.col("v") * F.sin(a)).over(w).alias("s"), F.count(F.lit(1)).over(w).alias("n")).where(f"n = {Q}")
-        one = s.select("series_id", F.col("t").alias("start"), F.lit(b).alias("bin"), F.round(F.col("c") * F.cos(a) + F.col("s") * F.sin(a), 3).alias("re"), F.round(F.col("c") * F.sin(a) - F.col("s") * F.cos(a), 3).alias("im"))
-        out = one if out is None else out.unionByName(one)
+    a = lambda b: F.lit(2 * math.pi * b / Q) * F.col("t")
+    s = _window_sums(p, ["series_id"], **{f"{n}{b}": F.col("v") * f(a(b)) for b in (1, 2, 3) for n, f in (("c", F.cos), ("s", F.sin))})
+    of = lambda b: F.struct(F.lit(b).alias("bin"), F.round(F.col(f"c{b}") * F.cos(a(b)) + F.col(f"s{b}") * F.sin(a(b)), 3).alias("re"), F.round(F.col(f"c{b}") * F.sin(a(b)) - F.col(f"s{b}") * F.cos(a(b)), 3).alias("im"))
+    out = s.select("series_id", F.col("t").alias("start"), F.inline(F.array(*[of(b) for b in (1, 2, 3)])))
     return out.select("series_id", "start", "bin", (F.col("re") + 0.0).alias("re"), (F.col("im") + 0.0).alias("im"))
 
 
 DFT_SQL = " union all ".join(
-    f"select p.series_id, s.start, cast({b} as integer) as bin, round(sum(v * cos({2 * math.pi * b / Q!r} * (t - s.start))), 3) + 0.0 as re, round(-sum(v * sin({2 * math.pi * b / Q!r} * (t - s.start))), 3) + 0.0 as im from (select * from ({SW}) where channel = 0 and series_id <= 5) p join (select unnest(range(0, {357 - Q + 1})) as start) s on p.t >= s.start and p.t < s.start + {Q} group by 1, 2" for b in (1, 2, 3)
+    f"select p.series_id, s.start, cast({b} as integer) as bin, round(sum(v * cos({2 * math.pi * b / Q!r} * (t - s.start))), 3) + 0.0 as re, round(-sum(v * sin({2 * math.pi * b / Q!r} * (t - s.start))), 3) + 0.0 as im from (select * from ({SW}) where channel = 0) p join (select unnest(range(0, {357 - Q + 1})) as start) s on p.t >= s.start and p.t < s.start + {Q} group by 1, 2" for b in (1, 2, 3)
 )
 
-#: Windows that the SQL of the study keys looks at: start 0, 52, ... of the first five series.
-STARTS = "series_id <= 5 and t < 312"
-
 #: Windows in the sample whose pairs show the bins' shares of distance and the bounds.
 SAMPLE = 100
 
@@ -105,10 +103,10 @@ def _with_bins(p: DataFrame) -> DataFrame:
 
 
 def _sample(p: DataFrame) -> DataFrame:
-    """(series_id, start) of ``SAMPLE`` windows drawn by hash among every start of every series."""
+    """(series_id, start) of ``SAMPLE`` windows drawn by a multiplicative hash among every start of every series."""
     span = p.groupBy("series_id").agg(F.min("t").alias("a"), (F.max("t") - Q + 1).alias("b")).where("b >= a")
     every = span.select("series_id", F.explode(F.sequence("a", "b")).alias("start"))
-    return every.orderBy(F.xxhash64("series_id", "start"), "series_id", "start").limit(SAMPLE)
+    return every.orderBy((F.col("series_id") * 7919 + F.col("start") * 104729) % 10007, "series_id", "start").limit(SAMPLE)
 
 
 def _spectra(spark, d) -> DataFrame:
@@ -120,24 +118,25 @@ def _spectra(spark, d) -> DataFrame:
     return s.withColumn("weight", _weight()).withColumn("id", F.col("series_id") * 1000 + F.col("start"))
 
 
-_SPEC_SQL = f"""with p as materialized (select *, t // {Q} as w, t % {Q} as j from ({SW}) where {STARTS}), b as (select unnest(range(0, {Q // 2 + 1})) as bin),
-spec as materialized (select series_id, w, channel, cast(bin as integer) as bin, sum(v * cos({2 * math.pi / Q!r} * bin * j)) as re, -sum(v * sin({2 * math.pi / Q!r} * bin * j)) as im, case when bin in (0, {Q // 2}) then 1.0 else 2.0 end as weight from p, b group by 1, 2, 3, 4, bin)"""
+_SPEC_SQL = f"""with p as materialized ({SW}), span as (select series_id, min(t) as a, max(t) - {Q - 1} as b from p group by 1), every as (select series_id, cast(unnest(range(a, b + 1)) as bigint) as start from span),
+picked as materialized (select * from every order by (series_id * 7919 + start * 104729) % 10007, series_id, start limit {SAMPLE}), b as (select unnest(range(0, {Q // 2 + 1})) as bin),
+spec as materialized (select series_id * 1000 + start as id, channel, cast(bin as integer) as bin, sum(v * cos({2 * math.pi / Q!r} * bin * (t - start))) as re, -sum(v * sin({2 * math.pi / Q!r} * bin * (t - start))) as im, case when bin in (0, {Q // 2}) then 1.0 else 2.0 end as weight from p join picked using (series_id), b where t >= start and t < start + {Q} group by series_id, start, channel, b.bin)"""
 
 
 def energy_by_bin(spark, d):
     """Mean share of a window's energy by bin over every window of every series; all bins together hold Q times the sum of squares."""
-    w = Window.partitionBy("series_id", "channel", "bin").orderBy("t").rowsBetween(0, Q - 1)
     a = F.lit(2 * math.pi / Q) * F.col("bin") * F.col("t")
-    e = _with_bins(sw(spark, d).repartition("series_id", "channel")).select(
-        "channel", "bin", F.sum(F.col("v") * F.cos(a)).over(w).alias("c"), F.sum(F.col("v") * F.sin(a)).over(w).alias("s"), F.sum(F.col("v") * F.col("v")).over(w).alias("own"), F.count(F.lit(1)).over(w).alias("n")
-    )
+    e = _window_sums(_with_bins(sw(spark, d).repartition("series_id", "channel")), ["series_id", "channel", "bin"], c=F.col("v") * F.cos(a), s=F.col("v") * F.sin(a), own=F.col("v") * F.col("v"))
     part = _weight() * (F.col("c") ** 2 + F.col("s") ** 2) / F.nullif(F.col("own") * F.lit(float(Q)), F.lit(0.0))
-    share = e.where(f"n = {Q}").groupBy("channel", "bin").agg(F.avg(part).alias("share"))
+    share = e.groupBy("channel", "bin").agg(F.avg(part).alias("share"))
     run = F.sum("share").over(Window.partitionBy("channel").orderBy(F.desc("share"), "bin").rowsBetween(Window.unboundedPreceding, 0))
     return share.select("channel", "bin", F.round("share", 5).alias("share"), F.round(run, 5).alias("cumulative"))
 
 
-ENERGY_SQL = f"{_SPEC_SQL}, s as (select channel, bin, avg(share) as share from (select *, e / sum(e) over (partition by series_id, w, channel) as share from (select *, weight * (re * re + im * im) as e from spec)) group by 1, 2) select channel, bin, round(share, 5) as share, round(sum(share) over (partition by channel order by share desc, bin rows unbounded preceding), 5) as cumulative from s"
+ENERGY_SQL = f"""with p as materialized ({SW}), b as (select unnest(range(0, {Q // 2 + 1})) as bin),
+e as (select channel, cast(bin as integer) as bin, sum(v * cos({2 * math.pi / Q!r} * bin * t)) over w as c, sum(v * sin({2 * math.pi / Q!r} * bin * t)) over w as s, sum(v * v) over w as own, count(*) over w as n from p, b window w as (partition by series_id, channel, bin order by t rows between current row and {Q - 1} following)),
+s as (select channel, bin, avg(case when bin in (0, {Q // 2}) then 1.0 else 2.0 end * (c * c + s * s) / nullif(cast(own as double) * {Q}, 0)) as share from e where n = {Q} group by 1, 2)
+select channel, bin, round(share, 5) as share, round(sum(share) over (partition by channel order by share desc, bin rows unbounded preceding), 5) as cumulative from s"""
 
 
 def _pair_shares(spark, d) -> DataFrame:
@@ -148,7 +147,7 @@ def _pair_shares(spark, d) -> DataFrame:
     return e.withColumn("share", F.col("e") / F.nullif(F.sum("e").over(Window.partitionBy("i", "k", "channel")), F.lit(0.0))).groupBy("channel", "bin").agg(F.avg("share").alias("share"))
 
 
-_ARDC = f"{_SPEC_SQL}, x as (select a.series_id * 10 + a.w as i, b.series_id * 10 + b.w as k, a.channel, a.bin, a.weight * ((a.re - b.re) ** 2 + (a.im - b.im) ** 2) as e from spec a join spec b on a.channel = b.channel and a.bin = b.bin and a.series_id * 10 + a.w < b.series_id * 10 + b.w), s as (select channel, bin, avg(share) as share from (select *, e / sum(e) over (partition by i, k, channel) as share from x) group by 1, 2)"
+_ARDC = f"{_SPEC_SQL}, x as (select a.id as i, b.id as k, a.channel, a.bin, a.weight * ((a.re - b.re) ** 2 + (a.im - b.im) ** 2) as e from spec a join spec b on a.channel = b.channel and a.bin = b.bin and a.id < b.id), s as (select channel, bin, avg(share) as share from (select *, e / nullif(sum(e) over (partition by i, k, channel), 0) as share from x) group by 1, 2)"
 
 
 def ardc_by_bin(spark, d):
@@ -179,10 +178,10 @@ def _bound_pairs(spark, d, pivot: bool) -> DataFrame:
 
 
 def _bound_sql(pivot: bool) -> str:
-    base = f"{_SPEC_SQL}, z as (select *, series_id * 10 + w as id from spec where channel = 0), e as (select a.id as i, b.id as k, a.bin, a.weight * ((a.re - b.re) ** 2 + (a.im - b.im) ** 2) / {Q} as e from z a join z b on a.bin = b.bin and a.id < b.id), o as (select i, k, sum(case when bin <= 3 then e else 0 end) as lb2, sum(e) as d2 from e group by 1, 2)"
+    base = f"{_SPEC_SQL}, z as (select * from spec where channel = 0), e as (select a.id as i, b.id as k, a.bin, a.weight * ((a.re - b.re) ** 2 + (a.im - b.im) ** 2) / {Q} as e from z a join z b on a.bin = b.bin and a.id < b.id), o as (select i, k, sum(case when bin <= 3 then e else 0 end) as lb2, sum(e) as d2 from e group by 1, 2)"
     if pivot:
         base += f", m as (select bin, avg(re) as mr, avg(im) as mi from z where bin > 3 group by 1), g as (select id, sqrt(sum(weight * ((re - mr) ** 2 + (im - mi) ** 2)) / {Q}) as g from z join m using (bin) group by 1), o2 as (select o.i, o.k, lb2 + (g1.g - g2.g) ** 2 as lb2, d2 from o join g g1 on g1.id = o.i join g g2 on g2.id = o.k)"
-    return f"{base} select i, k, round(lb2, 3) as lb2, round(d2, 3) as d2, round(sqrt(lb2 / d2), 4) as tightness from {'o2' if pivot else 'o'}"
+    return f"{base} select i, k, round(lb2, 3) as lb2, round(d2, 3) as d2, round(sqrt(lb2 / nullif(d2, 0)), 4) as tightness from {'o2' if pivot else 'o'}"
 
 
 VARIANCES = (0.5, 1.0, 2.0, 0.0)
@@ -205,7 +204,7 @@ def _labelled(spark, d) -> DataFrame:
     return p.withColumn("b", F.ntile(4).over(Window.partitionBy("a").orderBy("sd", "series_id", "start")))
 
 
-_LABEL_SQL = f"with r as ({ROLL_SQL}), l1 as (select *, ntile(8) over (order by mean, series_id, start) as a from r where series_id <= 20), l as (select *, ntile(4) over (partition by a order by sd, series_id, start) as b from l1)"
+_LABEL_SQL = f"with r as ({ROLL_SQL}), l1 as (select *, ntile(8) over (order by mean, series_id, start) as a from r), l as (select *, ntile(4) over (partition by a order by sd, series_id, start) as b from l1)"
 
 
 def ntile_tiles(spark, d):
@@ -244,7 +243,7 @@ def interval_join_windows(spark, d):
     return orders.join(F.broadcast(weeks), "week").groupBy("o_orderkey").agg(F.sum("n_runs").alias("n_runs"))
 
 
-INTERVAL_SQL = f"{_ISLAND_SQL}, o as (select o_orderkey, floor(datediff('day', date '1995-01-02', cast(o_orderdate as date)) / 7) as week from orders join customer on o_custkey = c_custkey where c_nationkey = 7) select o_orderkey, count(*) as n_runs from o join r2 on week >= first_start and week <= last_start + {Q - 1} where series_id = 1 group by 1"
+INTERVAL_SQL = f"{_ISLAND_SQL}, o as (select o_orderkey, floor(datediff('day', date '1995-01-02', cast(o_orderdate as date)) / 7) as week from orders join customer on o_custkey = c_custkey where c_nationkey = 7) select o_orderkey, count(*) as n_runs from o join r2 on week >= first_start and week <= last_start + {Q - 1} group by 1"
 
 
 def semi_join_candidates(spark, d):
@@ -334,7 +333,7 @@ def lag_lead_trend(spark, d):
     return p.groupBy("series_id", "channel").agg(F.count_if((F.col("d") > 0) & (F.col("e") < 0)).alias("peaks"), F.sum(F.abs("d")).alias("path"))
 
 
-TREND_SQL = f"select series_id, channel, count(*) filter (where d > 0 and e < 0) as peaks, cast(sum(abs(d)) as bigint) as path from (select *, v - lag(v) over w as d, lead(v) over w - v as e from ({SW}) where series_id <= 10 window w as (partition by series_id, channel order by t)) group by 1, 2"
+TREND_SQL = f"select series_id, channel, count(*) filter (where d > 0 and e < 0) as peaks, cast(sum(abs(d)) as bigint) as path from (select *, v - lag(v) over w as d, lead(v) over w - v as e from ({SW}) window w as (partition by series_id, channel order by t)) group by 1, 2"
 
 
 def distinct_counts(spark, d):
@@ -355,7 +354,7 @@ def array_distance(spark, d):
     return v.crossJoin(F.broadcast(base)).select("vec_id", F.round(dist, 4).alias("distance"))
 
 
-ARRAY_SQL = "select a.vec_id, round(sqrt(list_sum([(cast(z[1] as double) - cast(z[2] as double)) ** 2 for z in list_zip(a.embedding, b.embedding)])), 4) as distance from embeddings a, embeddings b where a.vec_id < 50 and b.vec_id = 0"
+ARRAY_SQL = "select a.vec_id, round(sqrt(list_sum([(cast(z[1] as double) - cast(z[2] as double)) ** 2 for z in list_zip(a.embedding, b.embedding)])), 4) as distance from embeddings a, embeddings b where b.vec_id = 0"
 
 
 def cross_corr_channels(spark, d):

@@ -178,8 +178,7 @@ select query_id, vec_id, label as predicted, label = truth as correct from (sele
 def discords(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The three windows of nation's series farthest from their nearest window of another series, over all starts of both.
 
-    Pairs of series meet by a cross join; each gives the nearest distance of every window of the one. ``DISCORD_SQL`` looks at every
-    13th start only, and at neighbours up to 13 weeks away.
+    Pairs of series meet by a cross join; each gives the nearest distance of every window of the one.
     """
     ship(spark)
     p = points_of(spark, sf_dir, "nation").where("channel = 0")
@@ -201,10 +200,12 @@ def discords(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.groupBy("series_id", "start").agg(F.min("d2").alias("nearest_d2")).orderBy(F.desc("nearest_d2"), "series_id", "start").limit(3)
 
 
-DISCORD_SQL = f"""with pts as materialized (select * from ({X.nation_week_sql()}) where channel = 0), s as (select series_id, t as start from pts where t % 13 = 0 and t + 52 <= 344),
-w as materialized (select p.series_id, s.start, p.t - s.start as j, p.v from pts p join s on s.series_id = p.series_id and p.t >= s.start and p.t < s.start + 52),
-d as (select a.series_id, a.start, sum((a.v - b.v) * (a.v - b.v)) as d2 from w a join w b on a.j = b.j and a.series_id <> b.series_id and abs(a.start - b.start) <= 13 group by a.series_id, a.start, b.series_id, b.start)
-select series_id, start, cast(min(d2) as bigint) as nearest_d2 from d group by 1, 2 order by 3 desc, 1, 2 limit 3"""
+#: Of two series and a shift between their starts the distances are running sums along the diagonal.
+DISCORD_SQL = f"""with pts as materialized (select series_id, t, v from ({X.nation_week_sql()}) where channel = 0),
+g as (select a.series_id as x, b.series_id as y, a.t as tx, b.t - a.t as lag, (a.v - b.v) * (a.v - b.v) as e from pts a join pts b on a.series_id < b.series_id),
+d as (select x, y, tx, tx + lag as ty, sum(e) over w as d2, count(*) over w as n from g window w as (partition by x, y, lag order by tx rows between current row and 51 following)),
+f as (select x as series_id, tx as start, min(d2) as d2 from d where n = 52 group by 1, 2 union all select y, ty, min(d2) from d where n = 52 group by 1, 2)
+select series_id, start, cast(min(d2) as bigint) as nearest_d2 from f group by 1, 2 order by 3 desc, 1, 2 limit 3"""
 
 
 def topk_per_series(spark: SparkSession, sf_dir: str) -> DataFrame:
