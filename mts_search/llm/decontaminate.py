@@ -12,11 +12,13 @@ n - r + 1 - r e runs of r words with its window, all of them shifted alike to wi
 q-gram bound; r is 3, or less for short items). A stretch with that many gives the window's starts.
 Every document is read whole.
 
-The items go to the tasks in blocks of ``block`` items at most, one pass over the documents a block, so
-what is sent doesn't grow with the benchmark.
+The items go to the tasks in blocks of at most ``block`` items and ``most_words`` words (or one item), one
+pass over the documents a block, so what is sent doesn't grow with the benchmark.
 
 Edge cases: null or empty texts hold nothing; null or wordless items match nothing; repeated items are
 reported each; a text that holds an item twice gives two rows; an empty benchmark keeps every document.
+``clean`` judges every row by its own text, so rows that share a doc_id or have none don't affect each other;
+all columns are kept, whatever their names.
 """
 
 from __future__ import annotations
@@ -173,17 +175,19 @@ def build(items: list[tuple[object, str]], limit: float = LIMIT, target: float =
     return index
 
 
-def calibrate(index: Index, target: float, trials: int = 20, most: int = 128) -> int:
-    """Tables needed so that a share ``target`` of simulated windows at the limit shares a bucket with its item."""
+def calibrate(index: Index, target: float, trials: int = 8, sampled: int = 40) -> int:
+    """Tables needed so that a share ``target`` of simulated windows at the limit shares a bucket with its item.
+
+    The simulation takes ``sampled`` items, of all lengths that allow an edit; the number has no upper bound.
+    """
+    able = sorted((x for x in index.items if int(index.limit * len(x))), key=len)
+    if not able:
+        return 8  # without edits a window and its item are embedded alike
     g = np.random.default_rng(3)
-    long = [x for x in index.items if len(x) >= 8]
-    if not long:
-        return 8
-    first: list[int] = []
-    probe = Index(index.limit, most, [], [])
-    for at in np.linspace(0, len(long) - 1, min(10, len(long))).astype(int).tolist():
-        item = long[at]
-        n, rows = len(item), [long[at]]
+    texts: list[np.ndarray] = []
+    for at in np.unique(np.linspace(0, len(able) - 1, min(sampled, len(able))).astype(int)).tolist():
+        item = able[at]
+        n, rows = len(item), [item]
         for _ in range(trials):
             text = [int(x) for x in item]
             for _ in range(int(index.limit * n)):
@@ -195,10 +199,17 @@ def calibrate(index: Index, target: float, trials: int = 20, most: int = 128) ->
                 elif len(text) > 1:
                     del text[where]
             rows.append(np.array((text + [int(x) for x in g.integers(1_000_000, 2_000_000, n)])[:n]))
-        hit = np.stack([k[1:] == k[0] for k in probe.keys(mix64(np.stack(rows).astype(np.uint64)))])
-        first += np.where(hit.any(axis=0), hit.argmax(axis=0), most).tolist()
-    need = int(np.sort(first)[int(np.ceil(target * len(first))) - 1]) + 1
-    return min(most, max(16, need))
+        texts.append(mix64(np.stack(rows).astype(np.uint64)))
+    most = 128
+    while True:
+        probe, first = Index(index.limit, most, [], []), []
+        for rows in texts:
+            hit = np.stack([k[1:] == k[0] for k in probe.keys(rows)])
+            first += np.where(hit.any(axis=0), hit.argmax(axis=0), most).tolist()
+        need = int(np.sort(first)[int(np.ceil(target * len(first))) - 1]) + 1
+        if need <= most:
+            return max(16, need)
+        most *= 2
 
 
 def find(index: Index, text: list[bytes]) -> list[tuple[int, int, int, int]]:
@@ -261,7 +272,22 @@ def find(index: Index, text: list[bytes]) -> list[tuple[int, int, int, int]]:
     return sorted(out, key=lambda x: (x[1], x[0]))
 
 
-def matches(docs: DataFrame, benchmark: DataFrame, limit: float = LIMIT, target: float = TARGET, block: int = 20_000) -> DataFrame:
+def indices(benchmark: DataFrame, limit: float, target: float, block: int, most_words: int) -> Iterator[Index]:
+    """Indices of the benchmark's items, a bounded block each; one at least."""
+    items: list[tuple[object, str]] = []
+    size, made = 0, False
+    for row in benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), text_or_empty().alias("text")).orderBy("item_id", "text").toLocalIterator():
+        n = row[1].count(" ") + 1
+        if items and (len(items) == block or size + n > most_words):
+            yield build(items, limit, target)
+            items, size, made = [], 0, True
+        items.append((row[0], row[1]))
+        size += n
+    if items or not made:
+        yield build(items, limit, target)
+
+
+def matches(docs: DataFrame, benchmark: DataFrame, limit: float = LIMIT, target: float = TARGET, block: int = 20_000, most_words: int = 2_000_000) -> DataFrame:
     """doc_id, item_id, start_word, n_words, edits, similarity of every benchmark item found in a document."""
     kept = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), text_or_empty().alias("text"))
     schema = "doc_id bigint, item_id bigint, start_word int, n_words int, edits int, similarity double"
@@ -280,27 +306,24 @@ def matches(docs: DataFrame, benchmark: DataFrame, limit: float = LIMIT, target:
 
         return kept.mapInArrow(run, schema)
 
-    result, items = None, []
-
-    def pass_over(items: list) -> None:
-        nonlocal result
-        found = search(build(items, limit, target))
+    result = None
+    for index in indices(benchmark, limit, target, block, most_words):
+        found = search(index)
         result = found if result is None else result.unionByName(found)
-
-    for row in benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), text_or_empty().alias("text")).orderBy("item_id", "text").toLocalIterator():
-        items.append((row[0], row[1]))
-        if len(items) == block:
-            pass_over(items)
-            items = []
-    if items or result is None:
-        pass_over(items)
     return result
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, limit: float = LIMIT) -> DataFrame:
-    """The documents that hold no benchmark item; all columns, null doc_ids included."""
-    index_col = "__held"
-    found = matches(docs.withColumn("text", text_or_empty()), benchmark, limit).select("doc_id").distinct().withColumn(index_col, F.lit(True))
-    found = found.withColumnRenamed("doc_id", "__doc_id")
-    joined = docs.join(found, docs["doc_id"].cast("bigint").eqNullSafe(found["__doc_id"]), "left_anti")
-    return joined
+def clean(docs: DataFrame, benchmark: DataFrame, limit: float = LIMIT, target: float = TARGET, block: int = 20_000, most_words: int = 2_000_000) -> DataFrame:
+    """The rows whose text holds no benchmark item, all columns as they are; a filter without a shuffle."""
+    at = docs.columns.index("text")
+
+    def without(rows: DataFrame, index: Index) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for part in batches:
+                yield part.filter(pa.array([not t or not find(index, words(str(t))) for t in part.column(at).to_pylist()], pa.bool_()))
+
+        return rows.mapInArrow(run, rows.schema)
+
+    for index in indices(benchmark, limit, target, block, most_words):
+        docs = without(docs, index)
+    return docs
