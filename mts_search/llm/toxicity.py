@@ -1,20 +1,24 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are trained, one on toxic and one on ordinary text. Both share a part
-trained on ordinary windows; each then ends in the words by which its class differs most from the
-other (documents of the class that hold the word, by a likelihood ratio), nearest to the end the
-strongest. A text is cut into windows of a few words; a window's distance is how many bytes shorter
-it becomes with the toxic dictionary than with the ordinary one. Per text the mean distance, the
-share of windows over a threshold and the largest distance go through a logistic curve; the window
-threshold, the number of class words and the curve are chosen on labelled texts held out of the
-dictionaries.
+Two zstandard dictionaries are trained, one on windows of toxic texts and one on windows of ordinary
+texts. Both start with one more trained part, on other ordinary windows, so that everyday words cost
+the same in both; each ends in the words by which its class differs most from the other (documents of
+the class that hold the word, by a likelihood ratio), nearest to the end the strongest: toxic texts are
+mostly everyday words, and rare words are what a dictionary trained on whole texts leaves out. A text is
+cut into windows of a few words; a window's distance is how many bytes shorter it becomes with the toxic
+dictionary than with the ordinary one. Per text the mean distance, the share of windows over a
+threshold and the largest distance go through a logistic curve. The window threshold (a grid of
+``cuts``), the number of class words and the curve are chosen by the loss on labelled texts held out of
+the dictionaries.
 
 The fit reads at most ``per_class`` labelled texts of each class (first by hash, a documented
 bound); every text is scored whole.
 
 Edge cases: a null or empty text has no windows and scores as distance 0 (an ordinary text); words
 over 64 characters are cut into windows of 64; with labels of one class only, every score is 0.
-Repeated rows stay repeated; rows with a null doc_id are scored too.
+Repeated rows stay repeated; rows with a null doc_id are scored too; of rows that share a labelled
+doc_id the smallest text is learnt from. An empty table gives no rows. Other columns are kept, whatever
+their names.
 """
 
 from __future__ import annotations
@@ -31,7 +35,7 @@ import zstandard as zs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import fresh, text_or_empty
 
 _PIECE = re.compile(r"\S{1,64}")
 WORDS, PAD = 8, b" "
@@ -77,20 +81,23 @@ class Detector:
             self._pair = _compressor(self.ordinary), _compressor(self.toxic)
         return lengths(self._pair[0], items) - lengths(self._pair[1], items)
 
-    def measures(self, texts: list[str]) -> np.ndarray:
-        """Per text: mean distance, share of windows over the threshold, largest distance (scaled)."""
+    def measures_at(self, texts: list[str], cuts) -> list[np.ndarray]:
+        """For each threshold, per text: mean distance, share of windows over the threshold, largest distance (scaled)."""
         parts = [windows(t) for t in texts]
         n = np.array([len(p) for p in parts])
-        out = np.zeros((len(texts), 3))
+        out = [np.zeros((len(texts), 3)) for _ in cuts]
         if n.sum():
             d = self.distances([w for p in parts for w in p])
             has = n > 0
             at = np.concatenate([[0], np.cumsum(n[has])[:-1]])
-            out[has, 0] = np.add.reduceat(np.clip(d, -12, 12), at) / n[has]
-            out[has, 1] = np.add.reduceat((d >= self.cut).astype(float), at) / n[has] * 10
-            out[has, 2] = np.minimum(np.maximum.reduceat(d, at), 12) / 4
+            mean, most = np.add.reduceat(np.clip(d, -12, 12), at) / n[has], np.minimum(np.maximum.reduceat(d, at), 12) / 4
+            for cut, x in zip(cuts, out, strict=True):
+                x[has] = np.column_stack([mean, np.add.reduceat((d >= cut).astype(float), at) / n[has] * 10, most])
         return out
 
+    def measures(self, texts: list[str]) -> np.ndarray:
+        return self.measures_at(texts, [self.cut])[0]
+
     def scores(self, texts: list[str]) -> np.ndarray:
         z = self.measures(texts) @ np.array(self.weights[:3]) + self.weights[3]
         return 1 / (1 + np.exp(-np.clip(z, -50, 50)))
@@ -120,9 +127,19 @@ def _class_words(own: Counter, other: Counter, n_own: int, n_other: int, top: in
     return b" " + " ".join(reversed(best)).encode("utf-8", "replace") + b" " if best else b""
 
 
-def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(60, 90, 130), shared: int = 16_384) -> Detector:
+def _trained(size: int, pool: list[bytes]) -> bytes:
+    """The content of a dictionary trained on windows (the windows themselves where they are too few to train on)."""
+    try:
+        return zs.train_dictionary(size, pool).as_bytes()
+    except zs.ZstdError:
+        return b"".join(pool)[-size:]
+
+
+def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(60, 90, 130), cuts=(1, 2, 3, 4, 5, 6), shared: int = 16_384, own: int = 4096) -> Detector:
     """Dictionaries, number of class words, window threshold and curve; a third of the texts is held out for the choice.
 
+    shared, own: bytes of the part trained for both dictionaries and of the part trained on each one's class.
+
     odds: toxic to ordinary texts in the whole set of labels, for which the curve is set; those of the given texts if None.
     """
     split = lambda xs, held: [x for i, x in enumerate(xs) if (i % 3 == 0) == held]
@@ -130,11 +147,10 @@ def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(
     if not t_fit or not o_fit or not t_held or not o_held:
         return Detector(b"", b"", 1.0, (0.0, 0.0, 0.0, -50.0))
     seen = [Counter(w for t in ts for w in set(t.lower().split())) for ts in (t_fit, o_fit)]
-    pool = [w for t in o_fit for w in windows(t)]
-    try:
-        base = zs.train_dictionary(shared, pool[:: max(1, len(pool) // 60_000)]).as_bytes()
-    except zs.ZstdError:  # too little text to train on: the text itself is the dictionary
-        base = b"".join(pool)[-shared:]
+    base = _trained(shared, [w for t in o_fit[::2] for w in windows(t)])
+    parts = [_trained(own, [w for t in ts for w in windows(t)]) for ts in (t_fit, o_fit[1::2] or o_fit)]
+    n = max(map(len, parts))
+    parts = [b"\x01" * (n - len(x)) + x for x in parts]  # equally long, so that offsets into the shared part cost the same
     y = np.array([1] * len(t_held) + [0] * len(o_held))
     odds = odds or len(toxic) / len(ordinary)
     mass = np.where(y == 1, odds / len(t_held), 1 / len(o_held))
@@ -143,16 +159,14 @@ def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(
     for top in tops:
         ends = [_class_words(seen[0], seen[1], len(t_fit), len(o_fit), top), _class_words(seen[1], seen[0], len(o_fit), len(t_fit), top)]
         n = max(map(len, ends))
-        ends = [b"\x01" * (n - len(e)) + e for e in ends]  # equally long, so that offsets into the shared part cost the same
-        for cut in (3,):
-            found = Detector(base + ends[0], base + ends[1], float(cut), (0.0, 0.0, 0.0, 0.0))
-            x = found.measures(t_held + o_held)
+        ends = [b"\x01" * (n - len(e)) + e for e in ends]
+        found = Detector(base + parts[0] + ends[0], base + parts[1] + ends[1], 1.0, (0.0, 0.0, 0.0, 0.0))
+        for cut, x in zip(cuts, found.measures_at(t_held + o_held, cuts), strict=True):
             w = _logistic(x, y, mass)
             p = 1 / (1 + np.exp(-np.clip(x @ w[:3] + w[3], -30, 30)))
             loss = -np.mean(mass * np.where(y == 1, np.log(np.maximum(p, 1e-9)), np.log(np.maximum(1 - p, 1e-9))))
             if best is None or loss < best[0] - 1e-4:
-                found.weights = tuple(float(v) for v in w)
-                best = loss, found
+                best = loss, Detector(found.toxic, found.ordinary, float(cut), tuple(float(v) for v in w))
     return best[1]
 
 
@@ -164,14 +178,14 @@ def learn(docs: DataFrame, labels: DataFrame, per_class: int = 4000) -> Detector
     for c in (0, 1):
         part = marks.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class)
         picked = part if picked is None else picked.unionByName(part)
-    rows = docs.select("doc_id", text_or_empty().alias("text")).join(F.broadcast(picked), "doc_id").select("doc_id", "text", "toxic").collect()
+    rows = docs.select("doc_id", text_or_empty().alias("text")).join(F.broadcast(picked), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text")).collect()
     rows = sorted((r for r in rows if r["text"]), key=lambda r: (r["doc_id"], r["text"]))
     return fit([r["text"] for r in rows if r["toxic"] == 1], [r["text"] for r in rows if r["toxic"] == 0], total.get(1, 0) / max(1, total.get(0, 0)) or None)
 
 
 def score(df: DataFrame, detector: Detector, keep: list[str], text: str = "text", column: str = "score") -> DataFrame:
     """``keep`` columns plus the score of each whole text; map-only."""
-    kept = df.select(*keep, F.coalesce(F.col(text).cast("string"), F.lit("")).alias("__text"))
+    kept = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(text).cast("string"), F.lit("")).alias(fresh("__text", keep)))
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields[:-1]), f"`{column}` double"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
