@@ -7,8 +7,10 @@ ids is coded by array operations over the lanes. A block names its documents (id
 it can be decoded alone; checkpoints (states and stream position every ``every`` rows) let one block
 be decoded in pieces; CRC-32 sums of the stream and of the ids guard against damage.
 
-Blocks are rows of a Parquet table in the shared folder, written and read by Spark: a block is the
-file's bytes. Starts of ranges come from the ranges' totals, one number a range (65,536 at most).
+The output is a folder that can be read alone, by any session and at any time (``read_files``): ``blocks``,
+a Parquet table whose rows are the blocks' bytes, and ``table``, the frequency of every id. A block holds the
+number of its first id among all ids. Ranges' totals, one number a range, tell where ranges start; there are
+at most 65,536 ranges, so beyond 16 million rows a range holds more rows, which a sort on disk takes.
 
 Edge cases: a null or empty text has the end id only; null doc_id sorts last; rows with equal doc_id
 are ordered by text and written each; a document of any length is one piece of one block; an empty
@@ -20,16 +22,17 @@ from __future__ import annotations
 import json
 import re
 import struct
+import uuid
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, text_or_empty
+from .common import drop_at_end, materialize, scratch, text_or_empty
 from .fingerprint import range_cuts, range_number
 
 MAGIC, SCALE, LOW = b"RANS0001", 20, np.uint64(1 << 31)
@@ -137,7 +140,7 @@ def pack_block(part: int, start: int, docs: list[tuple[int | None, int]], ids: n
 
 
 def unpack_block(data: bytes, table: Table) -> tuple[int, int, list[tuple[int | None, np.ndarray]]]:
-    """(range, start in the range, documents with their ids); raises ValueError on damage."""
+    """(range, number of the first id among all, documents with their ids); raises ValueError on damage."""
     if data[:8] != MAGIC:
         raise ValueError("not a block of this format")
     part, start, n, stream_sum, ids_sum = struct.unpack_from("<IqIII", data, 8)
@@ -239,15 +242,19 @@ def _wide(data: bytes) -> np.ndarray:
 
 @dataclass
 class Written:
-    """Blocks (part, block), the shared table and the first id's number of each range."""
+    """A folder of blocks and the session that wrote it."""
 
-    blocks: DataFrame
-    table: Table
-    starts: dict[int, int]
+    spark: SparkSession
+    path: str
 
 
-def write(docs: DataFrame, path: str, end: int = 2, rows_each: int = 256) -> Written:
-    """Tokenise, count, encode and write all documents; ``path`` is the tokenizer's file."""
+def write(docs: DataFrame, path: str, end: int = 2, rows_each: int = 256, to: str | None = None) -> Written:
+    """Tokenise, count, encode and write all documents to the folder ``to``; ``path`` is the tokenizer's file.
+
+    Without ``to`` the output goes to the shared folder and is deleted when the application ends.
+    """
+    spark = docs.sparkSession
+    out = to or f"{scratch(spark)}/tokens_{uuid.uuid4().hex}"
     rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), text_or_empty().alias("text")).withColumn("at", F.coalesce("doc_id", F.lit(_LAST)))
     cuts = range_cuts(rows, "at", rows_each)
     dealt = rows.withColumn("part", range_number(F.col("at"), cuts)).repartition("part").sortWithinPartitions("part", "at", "text").select("part", "doc_id", "text")
@@ -298,7 +305,7 @@ def write(docs: DataFrame, path: str, end: int = 2, rows_each: int = 256) -> Wri
         size = 0
 
         def flush() -> pa.RecordBatch:
-            part, start = held[0][0], held[0][1]
+            part, start = held[0][0], starts[held[0][0]] + held[0][1]
             data = pack_block(part, start, [(d, len(x)) for _, _, d, x in held], np.concatenate([x for *_, x in held]), table)
             out = pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([start], pa.int64()), pa.array([data], pa.binary())], names=["part", "start", "block"])
             held.clear()
@@ -314,21 +321,32 @@ def write(docs: DataFrame, path: str, end: int = 2, rows_each: int = 256) -> Wri
         if held:
             yield flush()
 
-    coded = materialize(encoded.mapInArrow(blocks, "part int, start bigint, block binary"), "blocks")
-    return Written(coded, table, starts)
+    encoded.mapInArrow(blocks, "part int, start bigint, block binary").write.parquet(f"{out}/blocks")
+    spark.createDataFrame([(int(i), int(table.freq[i])) for i in np.flatnonzero(table.freq)], "id int, freq int").coalesce(1).write.parquet(f"{out}/table")
+    if to is None:
+        drop_at_end(spark, out)
+    return Written(spark, out)
 
 
 def read(written: Written) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32 of every document, from the blocks."""
-    table, starts = written.table, written.starts
+    return read_files(written.spark, written.path)
+
+
+def read_files(spark: SparkSession, path: str) -> DataFrame:
+    """doc_id, start, n_tokens, ids_crc32 of every document, from the folder alone."""
+    rows = spark.read.schema("id int, freq int").parquet(f"{path}/table").collect()  # as many rows as the vocabulary has at most
+    freq = np.zeros(max((r[0] for r in rows), default=0) + 1, np.uint64)
+    for i, f in rows:
+        freq[i] = f
+    table = Table(freq, np.concatenate([[0], np.cumsum(freq)[:-1]]).astype(np.uint64))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in batches:
             for data in rows.column(0).to_pylist():
-                part, start, docs = unpack_block(data, table)
+                _, start, docs = unpack_block(data, table)
                 n = np.array([len(x) for _, x in docs], np.int64)
-                first = starts[part] + start + np.concatenate([[0], np.cumsum(n)[:-1]])
+                first = start + np.concatenate([[0], np.cumsum(n)[:-1]])
                 sums = [zlib.crc32(np.ascontiguousarray(x, "<u4")) for _, x in docs]
                 yield pa.RecordBatch.from_arrays([pa.array([d for d, _ in docs], pa.int64()), pa.array(first, pa.int64()), pa.array(n, pa.int64()), pa.array(sums, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return written.blocks.select("block").mapInArrow(run, "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint")
+    return spark.read.schema("part int, start bigint, block binary").parquet(f"{path}/blocks").select("block").mapInArrow(run, "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint")
