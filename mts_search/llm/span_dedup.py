@@ -18,8 +18,13 @@ are documents of their own; a null doc_id sorts last.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
+import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, StringType
 
 from .common import materialize, text_or_empty
 
@@ -35,10 +40,6 @@ def sentences(text: Column) -> Column:
 
 def runs(docs: DataFrame, least: int = LEAST) -> DataFrame:
     """at (doc_id), digest (of the text), hash, start, stop of every shortest run from a start or to an end."""
-    import numpy as np
-    import pyarrow as pa
-    import xxhash
-
     kept = docs.select("at", "digest", "sentences")
 
     def run(batches):
@@ -80,13 +81,28 @@ def deduplicate(docs: DataFrame, least: int = LEAST) -> DataFrame:
     spans = materialize(spans, "spans")
     place = F.struct("at", "digest", "start")
     repeated = spans.groupBy("hash").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("times")).where("times > 1").select("hash", *[F.col(f"first.{c}").alias(f"first_{c}") for c in ("at", "digest", "start")])
-    again = spans.join(repeated, "hash").where((F.col("at") != F.col("first_at")) | (F.col("digest") != F.col("first_digest")) | (F.col("start") != F.col("first_start")))
-    cover = again.select("at", "digest", "start", "stop").groupBy("at", "digest", "start").agg(F.max("stop").alias("stop")).groupBy("at", "digest").agg(F.collect_list(F.struct("start", "stop")).alias("cover"))
+    # written, so that both sides of the join come from a shuffle alone and the rows of a hot hash can be split
+    again = spans.join(materialize(repeated, "repeated"), "hash").where((F.col("at") != F.col("first_at")) | (F.col("digest") != F.col("first_digest")) | (F.col("start") != F.col("first_start")))
+    cover = again.select("at", "digest", "start", "stop").groupBy("at", "digest", "start").agg(F.max("stop").alias("stop")).groupBy("at", "digest").agg(F.sort_array(F.collect_list(F.struct("start", "stop"))).alias("cover"))
     out = rows.join(cover, ["at", "digest"], "left").withColumn("s", F.when(F.col("cover").isNotNull(), sentences(F.col("text"))))
-    hit = lambda i: F.exists("cover", lambda c: (c["start"] <= i) & (i < c["stop"]))
-    stay = F.filter("s", lambda x, i: ~hit(i))
-    out = out.withColumn("stay", stay)
+    # the covered stretches, sorted, become one running reach: linear in the sentences
+    out = out.withColumn("stay", _uncovered(F.col("s"), F.col("cover.start"), F.col("cover.stop")))
     return out.select(
         "doc_id", F.coalesce(F.size("s"), F.lit(0)).alias("n_sentences_checked"), F.when(F.col("cover").isNull(), 0).otherwise(F.size("s") - F.size("stay")).alias("n_removed"),
         F.when(F.col("cover").isNull(), F.col("text")).otherwise(F.array_join("stay", "\n")).alias("text"),
     )
+
+
+@F.pandas_udf(ArrayType(StringType()))
+def _uncovered(s: pd.Series, start: pd.Series, stop: pd.Series) -> pd.Series:
+    """Sentences outside of the stretches [start, stop); null where there are no stretches."""
+    out = []
+    for own, a, z in zip(s, start, stop, strict=True):
+        if own is None:
+            out.append(None)
+            continue
+        reach = np.zeros(len(own), np.int64)
+        reach[np.asarray(a, int)] = z  # starts are distinct
+        stay = np.maximum.accumulate(reach) <= np.arange(len(own))
+        out.append([x for x, keep in zip(own, stay, strict=True) if keep])
+    return pd.Series(out, dtype=object)
