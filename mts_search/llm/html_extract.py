@@ -8,14 +8,17 @@ pages. The labelled pages are made here from page layouts (``labelled_pages``),
 bring none; a caller may pass their own.
 
 Edge cases: null or empty html gives the empty text; html without any tag is one block of text;
-unclosed tags, comments and scripts at the end of input close there; repeated rows stay repeated;
-other columns of the input are not read.
+unclosed tags, comments and scripts at the end of input close there; a quote that never closes ends with
+its tag at the next >; no part of a tag gets into the text; time is linear in the page's length, however deep
+or broken it is; repeated rows stay repeated; an empty table gives no rows; other columns of the input are
+not read.
 """
 
 from __future__ import annotations
 
 import html as html_entities
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
@@ -54,10 +57,12 @@ MAIN, OTHER = frozenset(["article", "main"]), frozenset("nav header footer aside
 _MAIN_CUE = list(CUES).index("main")
 ZONES = "nav header footer aside form article main section table ul".split()
 
-_TOKEN = re.compile(
-    r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(?P<cdata>.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(?P<close>/?)(?P<name>[A-Za-z][A-Za-z0-9:-]*)(?P<attrs>(?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|</[^A-Za-z][^>]*(?:>|\Z)",
-    re.S,
-)
+_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(?P<cdata>.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(?P<close>/?)(?P<name>[A-Za-z][A-Za-z0-9:-]*)|</[^A-Za-z][^>]*(?:>|\Z)", re.S)
+#: What follows a tag's name: quotes count after = only; one that never closes is a letter like others. No backtracking.
+_ATTRS = re.compile(r"""((?:[^>=]++|=\s*+(?:"[^"]*+"|'[^']*+'|[^\s>"'][^\s>]*+)?+)*+)>""")
+#: Characters in which a tag has to end by these rules; a longer one ends at its first >.
+TAG_SPAN = 16_384
+_NOTE = re.compile(r"©|\bcopyright\b|all rights reserved", re.I)
 _CUE_ATTR = re.compile(r"""(?:^|\s)(class|id|role|aria-label|hidden|style)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""", re.I)
 _WORD = re.compile(r"[a-z]+")
 _SPACE = re.compile(r"\s+")
@@ -134,12 +139,11 @@ def parse(html: str) -> Page:
 
     pos, size = 0, len(html)
     find = _TOKEN.search
+    is_open: Counter = Counter()
     while pos < size:
         m = find(html, pos)
         if m is None:
-            rest = html[pos:]
-            cut = re.search(r"<[/!?A-Za-z]", rest)  # a tag that never ends
-            text(rest[: cut.start()] if cut else rest)
+            text(html[pos:])
             break
         text(html[pos : m.start()])
         pos = m.end()
@@ -148,22 +152,28 @@ def parse(html: str) -> Page:
             if m["cdata"]:
                 text(m["cdata"])
             continue
+        rest = _ATTRS.match(html, pos, pos + TAG_SPAN)
+        end = rest.end() if rest else html.find(">", pos) + 1
+        if not end:  # a tag that never ends, and no later one does
+            break
+        attrs, pos = html[pos : end - 1], end
         name = name.lower()
         if m["close"]:
             if name == "a":
                 linked = max(0, linked - 1)
             if name in BLOCK and name != "hr":
-                depth = next((k for k in range(len(stack) - 1, 0, -1) if page.tag[stack[k]] == name), 0)
-                if depth:
+                if is_open[name]:
                     flush()
-                    del stack[depth:]
+                    while page.tag[stack[-1]] != name:
+                        is_open[page.tag[stack.pop()]] -= 1
+                    is_open[page.tag[stack.pop()]] -= 1
                     linked = 0
                 elif name == "p":
                     flush()
             continue
-        if name in RAW and not m["attrs"].endswith("/"):
-            end = re.compile(rf"</{name}\s*[^>]*>", re.I).search(html, pos)
-            pos = end.end() if end else size
+        if name in RAW and not attrs.endswith("/"):
+            over = re.compile(rf"</{name}\s*[^>]*>", re.I).search(html, pos) if html.find(">", pos) >= 0 else None
+            pos = over.end() if over else size
             continue
         if name == "br":
             text(" ")
@@ -176,13 +186,11 @@ def parse(html: str) -> Page:
         linked = 0
         if name == "hr":
             continue
-        if any(page.tag[k] == "p" for k in stack[1:]):  # a block ends an open paragraph
-            k = max(i for i, n in enumerate(stack) if page.tag[n] == "p")
-            if all(page.tag[n] not in ("td", "th", "li", "div") for n in stack[k + 1 :]):
-                del stack[k:]
+        if page.tag[stack[-1]] == "p":  # a block ends an open paragraph, which so is always the innermost
+            is_open[page.tag[stack.pop()]] -= 1
         while len(stack) > 1 and page.tag[stack[-1]] in CLOSED_BY.get(name, ()):
-            stack.pop()
-        cues, hidden, label = _cues(m["attrs"])
+            is_open[page.tag[stack.pop()]] -= 1
+        cues, hidden, label = _cues(attrs) if len(attrs) <= 2000 else _cues.__wrapped__(attrs)
         at, node = stack[-1], len(page.parent)
         page.parent.append(at)
         page.depth.append(page.depth[at] + 1)
@@ -192,6 +200,7 @@ def parse(html: str) -> Page:
         keep[node] = int(label) if label else keep.get(at, 0)
         page.label[node] = keep[node]
         stack.append(node)
+        is_open[name] += 1
     flush()
     return page
 
@@ -212,7 +221,7 @@ def features(page: Page) -> np.ndarray:
         if i in page.texts:
             t = page.texts[i]
             n = len(t)
-            x[i, _NUM_AT : _NUM_AT + 7] = (min(n, 400) / 400, page.links[i] / n, n < 25, t[-1] in ".!?…", "©" in t, 0, 1)
+            x[i, _NUM_AT : _NUM_AT + 7] = (min(n, 400) / 400, page.links[i] / n, n < 25, t[-1] in ".!?…", n < 400 and _NOTE.search(t) is not None, 0, 1)
             if (over := page.tag[page.parent[i]]) in _TAG_AT:
                 x[i, _TAG_AT[over]] = 1
         else:
@@ -347,7 +356,7 @@ def labelled_pages(n: int = 240, seed: int = 7) -> list[str]:
             return f'<div class="{rng.choice(CUES["main"])}" data-keep="1">{inner}</div>'
         if kind == 5:
             return f'<div data-keep="1">{inner}</div>'
-        return rng.choice([prose(), "".join(f'<p data-keep="1">{prose()}</p>' for _ in range(rng.randint(1, 4))), f'<h1 data-keep="1">{words(4)}</h1><p data-keep="1">{prose()}</p>'])
+        return rng.choice([prose(), words(rng.randint(2, 5)), "".join(f'<p data-keep="1">{prose()}</p>' for _ in range(rng.randint(1, 4))), f'<h1 data-keep="1">{words(4)}</h1><p data-keep="1">{prose()}</p>'])
 
     def talk() -> str:
         one = "".join(f'<{t} class="comment"><p>{prose()}</p></{t}>' for t in rng.choices(["div", "li", "article"], k=rng.randint(1, 4)))
@@ -358,6 +367,9 @@ def labelled_pages(n: int = 240, seed: int = 7) -> list[str]:
         before = "".join(noise() for _ in range(rng.randint(0, 3)))
         after = "".join(noise() for _ in range(rng.randint(0, 2))) + (talk() if rng.random() < 0.4 else "")
         foot = f'<footer data-keep="0">{rng.choice(["&copy; ", ""])}{sentence()}</footer>' if rng.random() < 0.8 else ""
+        if rng.random() < 0.12:  # a loose line of rights, in place of the footer or beside it
+            line = rng.choice([f"Copyright {rng.randint(1990, 2030)} {words(2)}.", f"© {words(2)}", f"{words(2)}. All rights reserved."])
+            foot = rng.choice(["", foot]) + f'<{(t := rng.choice(["p", "div"]))} data-keep="0">{line}</{t}>'
         pages.append(f'<html><head><title>{words(3)}</title></head><body data-keep="1">{before if "<" in (main := article()) else ""}{main}{after}{foot}</body></html>')
     return pages
 
