@@ -390,3 +390,67 @@ def test_pipeline(spark):
         assert 0 < n <= seen, name
         docs, seen = out, n
     assert len(corpus_pipeline.STAGES) == 5
+
+
+def test_html_of_broken_pages():
+    from time import perf_counter
+
+    m = H.default_model()
+    got = lambda h: H.extract_batch([h], m)[0]
+    assert got('<p title="x>Hello world text is here.\nMore text here, too.') == "Hello world text is here. More text here, too."
+    assert got("<p>See <a title='it's here' href=/x>the page</a> now, it is good.</p>") == "See the page now, it is good."
+    assert got("<body><article><p>Main text is here, and long enough to keep.</p></article><p>Copyright 2020 Foo.</p></body>") == "Main text is here, and long enough to keep."
+    assert got("<p>An open tag <a") == "An open tag"
+    began = perf_counter()
+    for page in ('<a b="' * 170_000, '<a b="x>' * 100_000, "<div>" * 10_000 + "x", "<div>" * 10_000 + "</table>" * 10_000, "<script>" + "</script " * 50_000, "<p title='" * 100_000 + ">"):
+        got(page)
+    assert perf_counter() - began < 60
+
+
+def test_empty_and_clashing_inputs(spark, empty):
+    pages = spark.createDataFrame([], "page_id bigint, url string, html string")
+    assert H.extract(pages, ["page_id", "url"]).count() == 0 and U.judge(pages, "page_id").count() == 0 and L.scan(empty).count() == 0
+    assert T.read(T.write(empty, public_tokenizers.path(QS.TOKENIZER))).count() == 0
+    assert X.score(empty, X.fit([], []), empty.columns).count() == 0
+    odd = spark.createDataFrame([(None, None, None), (1, "http://q.org/a", ""), (1, "http://q.org/a", "")], "page_id bigint, url string, html string").withColumn("text", F.lit("t")).withColumn("__html", F.lit(1)).withColumn("host", F.lit("h"))
+    assert sorted(r["n_chars"] for r in H.extract(odd, ["page_id", "url"]).collect()) == [0, 0, 0]
+    assert sorted(str(r["verdict"]) for r in U.judge(odd, "page_id").collect()) and U.judge(odd, "page_id").count() == 3
+
+
+def test_clean_judges_rows_by_their_own_text(spark):
+    item = prose(30, 901)
+    bench = spark.createDataFrame([(0, item)], "item_id bigint, text string")
+    rows = [(None, "a " + item), (None, prose(40, 1)), (7, item + " b"), (7, prose(40, 2)), (8, None)]
+    got = [(r["doc_id"], r["text"]) for r in D.clean(frame(spark, rows).withColumn("__held", F.lit(1)), bench).collect()]
+    assert sorted(got, key=str) == sorted([rows[1], rows[3], rows[4]], key=str)
+    many = spark.createDataFrame([(j, prose(30, 950 + j)) for j in range(7)], "item_id bigint, text string")
+    docs = frame(spark, [(j, prose(20, j) + " " + prose(30, 950 + j)) for j in range(9)])
+    assert sorted(r["doc_id"] for r in D.clean(docs, many, block=3).collect()) == [7, 8]
+
+
+def test_calibration_has_no_bound():
+    few = D.build([(j, prose(24, 980 + j)) for j in range(4)], 0.2, 0.95)
+    most = D.build([(j, prose(24, 980 + j)) for j in range(4)], 0.2, 0.999)
+    assert 16 <= few.tables <= most.tables
+
+
+def test_toxic_dictionary_and_threshold(spark):
+    rows = [(i, prose(60, i) + (" vileword scumbag nastyone " * 2 if i % 5 == 0 else "")) for i in range(400)]
+    det = X.fit([t for i, t in rows if i % 5 == 0], [t for i, t in rows if i % 5])
+    assert det.toxic != det.ordinary and b"vileword" in det.toxic and det.cut in (1, 2, 3, 4, 5, 6)
+    docs = frame(spark, [*rows, (None, None), (1000, ""), (1001, rows[0][1] * 300), (0, rows[0][1])])
+    labels = spark.createDataFrame([(i, int(i % 5 == 0)) for i in range(400)], "doc_id bigint, toxic int")
+    learnt = X.learn(docs, labels)
+    got = X.score(docs, learnt, ["doc_id"]).collect()
+    s = {r["doc_id"]: r["score"] for r in got}
+    assert len(got) == 404 and s[1000] == s[None] < 0.5 and all(0 <= r["score"] <= 1 for r in got)
+    held = [i for i in range(400) if zlib.crc32(str(i).encode()) % 5 == 0]
+    assert np.mean([(s[i] >= 0.5) == (i % 5 == 0) for i in held]) >= 0.95
+
+
+def test_token_folder_is_read_alone(spark, tmp_path):
+    docs = frame(spark, [(i, prose(50, i)) for i in range(40)])
+    out = str(tmp_path / "tokens")
+    T.write(docs, public_tokenizers.path(QS.TOKENIZER), rows_each=8, to=out)
+    got = sorted(T.read_files(spark.newSession(), out).collect(), key=lambda r: r["doc_id"])
+    assert [r["start"] for r in got] == [0, *np.cumsum([r["n_tokens"] for r in got])[:-1].tolist()]
