@@ -1,10 +1,12 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are trained, one on windows of toxic texts and one on windows of ordinary
-texts. Both start with one more trained part, on other ordinary windows, so that everyday words cost
-the same in both; each ends in the words by which its class differs most from the other (documents of
-the class that hold the word, by a likelihood ratio), nearest to the end the strongest: toxic texts are
-mostly everyday words, and rare words are what a dictionary trained on whole texts leaves out. A text is
+Two zstandard dictionaries are made, one for toxic and one for ordinary text. Both start with a part
+trained on windows of ordinary texts, so that everyday words cost the same in both. Then each has a part
+trained on what is left of its own class's windows without the words that both classes share, and ends in
+the words by which its class differs most from the other (documents of the class that hold the word, by a
+likelihood ratio), nearest to the end the strongest. Toxic texts are mostly everyday words: trained on whole
+windows, the toxic part holds chance everyday words whose matches drown the rare ones (on held-out labels of
+check_s 0.29 of the toxic texts are found with such parts of 4096 bytes, 0.93 with 256 bytes of remainders). A text is
 cut into windows of a few words; a window's distance is how many bytes shorter it becomes with the toxic
 dictionary than with the ordinary one. Per text the mean distance, the share of windows over a
 threshold and the largest distance go through a logistic curve. The window threshold (a grid of
@@ -117,14 +119,25 @@ def _logistic(x: np.ndarray, y: np.ndarray, mass: np.ndarray, ridge: float = 1e-
     return w
 
 
-def _class_words(own: Counter, other: Counter, n_own: int, n_other: int, top: int) -> bytes:
+def _class_words(own: Counter, other: Counter, n_own: int, n_other: int, top: int) -> list[str]:
+    """Words by which a class differs most from the other, the strongest first."""
     gains = []
     for word, a in own.items():
         p, q = a / n_own, (other[word] + 0.5) / n_other
         if a >= 3 and 4 <= len(word) <= 64 and p > 4 * q:
             gains.append((a * log(p / q), word))
-    best = [w for _, w in sorted(gains, reverse=True)[:top]]
-    return b" " + " ".join(reversed(best)).encode("utf-8", "replace") + b" " if best else b""
+    return [w for _, w in sorted(gains, reverse=True)[:top]]
+
+
+def _remainders(texts: list[str], words: set[str]) -> list[bytes]:
+    """What is left of the texts' windows without the words that both classes share; windows of nothing else go."""
+    out = []
+    for t in texts:
+        for w in windows(t):
+            left = [x for x in w.decode("utf-8", "replace").split() if x in words]
+            if left:
+                out.append(PAD + " ".join(left).encode("utf-8", "replace") + PAD)
+    return out
 
 
 def _trained(size: int, pool: list[bytes]) -> bytes:
@@ -135,7 +148,7 @@ def _trained(size: int, pool: list[bytes]) -> bytes:
         return b"".join(pool)[-size:]
 
 
-def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(60, 90, 130), cuts=(1, 2, 3, 4, 5, 6), shared: int = 16_384, own: int = 4096) -> Detector:
+def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(60, 90, 130), cuts=(1, 2, 3, 4, 5, 6), shared: int = 16_384, own: int = 256) -> Detector:
     """Dictionaries, number of class words, window threshold and curve; a third of the texts is held out for the choice.
 
     shared, own: bytes of the part trained for both dictionaries and of the part trained on each one's class.
@@ -147,20 +160,18 @@ def fit(toxic: list[str], ordinary: list[str], odds: float | None = None, tops=(
     if not t_fit or not o_fit or not t_held or not o_held:
         return Detector(b"", b"", 1.0, (0.0, 0.0, 0.0, -50.0))
     seen = [Counter(w for t in ts for w in set(t.lower().split())) for ts in (t_fit, o_fit)]
-    base = _trained(shared, [w for t in o_fit[::2] for w in windows(t)])
-    parts = [_trained(own, [w for t in ts for w in windows(t)]) for ts in (t_fit, o_fit[1::2] or o_fit)]
-    n = max(map(len, parts))
-    parts = [b"\x01" * (n - len(x)) + x for x in parts]  # equally long, so that offsets into the shared part cost the same
+    base = _trained(shared, [w for t in o_fit for w in windows(t)])
     y = np.array([1] * len(t_held) + [0] * len(o_held))
     odds = odds or len(toxic) / len(ordinary)
     mass = np.where(y == 1, odds / len(t_held), 1 / len(o_held))
     mass *= len(y) / mass.sum()
     best: tuple[float, Detector] | None = None
     for top in tops:
-        ends = [_class_words(seen[0], seen[1], len(t_fit), len(o_fit), top), _class_words(seen[1], seen[0], len(o_fit), len(t_fit), top)]
+        words = [_class_words(seen[0], seen[1], len(t_fit), len(o_fit), top), _class_words(seen[1], seen[0], len(o_fit), len(t_fit), top)]
+        ends = [_trained(own, _remainders(ts, set(ws))) + (PAD + " ".join(reversed(ws)).encode("utf-8", "replace") + PAD if ws else b"") for ts, ws in zip((t_fit, o_fit), words, strict=True)]
         n = max(map(len, ends))
-        ends = [b"\x01" * (n - len(e)) + e for e in ends]
-        found = Detector(base + parts[0] + ends[0], base + parts[1] + ends[1], 1.0, (0.0, 0.0, 0.0, 0.0))
+        ends = [b"\x01" * (n - len(e)) + e for e in ends]  # equally long, so that offsets into the shared part cost the same
+        found = Detector(base + ends[0], base + ends[1], 1.0, (0.0, 0.0, 0.0, 0.0))
         for cut, x in zip(cuts, found.measures_at(t_held + o_held, cuts), strict=True):
             w = _logistic(x, y, mass)
             p = 1 / (1 + np.exp(-np.clip(x @ w[:3] + w[3], -30, 30)))
