@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType
 
 from . import kernels as K
 
@@ -36,21 +37,21 @@ def dft_bin(values: Column, b: int) -> Column:
     return F.struct(part(F.cos, 1).alias("re"), part(F.sin, -1).alias("im"))
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(ArrayType(DoubleType()))
 def znorm_udf(values: Iterator[pd.Series]) -> Iterator[pd.Series]:
     """Normalised array (population deviation); constant arrays become zeros."""
     for s in values:
         yield s.map(lambda v: None if v is None else K.znorm(np.asarray(v, float)))
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(ArrayType(DoubleType()))
 def rfft_udf(values: Iterator[pd.Series]) -> Iterator[pd.Series]:
     """One-sided spectrum as re, im, re, im, ..."""
     for s in values:
         yield s.map(lambda v: None if v is None else np.fft.rfft(np.asarray(v, float)).view(float))
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(ArrayType(DoubleType()))
 def idft_udf(spectrum: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
     """Values of a given length from an interleaved one-sided spectrum."""
     for s, n in spectrum:

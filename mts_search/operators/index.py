@@ -2,8 +2,12 @@
 
 Build: one shuffle makes chunks; a bounded sample of windows fixes kept bins, tiling and pivots on the
 driver; one map pass turns every chunk into runs of neighbouring windows with boxes (features never
-leave the worker); the runs are the index. Search: lower bounds of all runs as flat column
-arithmetic, k runs a query verified first (threshold), then all runs within the threshold.
+leave the worker); the runs are the index, grouped by leaf, and the leaves by nodes. Search: the query
+goes down the nodes first. In the first probe it takes the nearest leaves until they hold k windows,
+bounds their runs and verifies the k nearest: the k-th distance is the threshold. In the second it goes
+down all nodes within the threshold and bounds the runs of the leaves reached, and no others; runs
+within the threshold are verified. On a saved index the leaves reached become partition filters, and the
+threshold becomes filters on flat box columns that row-group statistics answer.
 """
 
 from __future__ import annotations
@@ -13,20 +17,27 @@ from collections.abc import Iterator
 from dataclasses import asdict, dataclass, field
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import kernels as K
+from ..functions.columns import box_agg
+from ..session import written
 
 ENTRY = "series_id bigint, chunk_id bigint, first_start bigint, last_start bigint, n_windows int, leaf_id bigint, lo array<double>, hi array<double>, plo array<double>, phi array<double>"
 EPS = 1e-9
 #: Beyond these the flat bound expression would leave generated code; an aggregate over arrays takes over.
 FLAT_DIMS = 40
 BROADCAST_ROWS = 100_000
-#: Windows from which node boxes are built with the index.
-NODES_FROM = 5_000_000
+#: Box sides of a node that are aggregated as columns; beyond, rows a dimension are.
+WIDE_DIMS = 200
+#: Numbers of leaf boxes that the driver may hold, to go down to the leaves without a job.
+HELD_VALUES = 4_000_000
+#: Leaves of a slab, the partition of a saved index; slabs that a partition filter may list; flat box columns.
+SLAB, MOST_SLABS, FLAT_SIDES = 64, 20_000, 4
 
 
 class LengthMismatch(ValueError):
@@ -58,6 +69,24 @@ class Index:
     chunks: DataFrame
     entries: DataFrame
     nodes: DataFrame | None = None
+    counts: dict[int, int] | None = None
+    held: tuple | None = None
+
+    def leaf_boxes(self) -> tuple | None:
+        """Leaf boxes (ids, entries, windows, lo, hi) on the driver, where they are at most HELD_VALUES numbers."""
+        if self.held is None and 2 * self.levels().get(0, 0) * max(1, len(self.spec.dims)) <= HELD_VALUES:
+            rows = self.nodes.where(F.col("level") == 0).select("node_id", "n_entries", "n_windows", "lo", "hi").orderBy("node_id").collect()
+            shape = (len(rows), len(self.spec.dims))
+            self.held = (*(np.array([r[i] for r in rows], np.int64) for i in range(3)), *(np.array([r[i] for r in rows], float).reshape(shape) for i in (3, 4)))
+        return self.held
+
+    def levels(self) -> dict[int, int]:
+        """Number of nodes by level (0: leaves); a handful of rows, read once."""
+        if self.nodes is None:
+            self.nodes = build_levels(self.entries, d=len(self.spec.dims))
+        if self.counts is None:
+            self.counts = {r["level"]: r["count"] for r in self.nodes.groupBy("level").count().collect()}
+        return self.counts
 
 
 def sample_windows(chunks: DataFrame, q: int, size: int = 100, seed: int = 42) -> np.ndarray:
@@ -72,6 +101,29 @@ def sample_windows(chunks: DataFrame, q: int, size: int = 100, seed: int = 42) -
     return np.array([r["w"] for r in rows], float) if rows else np.zeros((0, 0, q))
 
 
+def pair_shares(sample: np.ndarray, normalized: bool = False) -> np.ndarray:
+    """(pairs, channels, bins): share of each pair's squared distance; NaN in channels where the pair is equal."""
+    w = K.znorm(sample) if normalized else sample
+    q = w.shape[-1]
+    spec = np.fft.rfft(w, axis=-1)
+    weight = np.array([K.bin_weight(b, q) for b in range(K.bins_of(q))])
+    i, j = np.triu_indices(len(spec), 1)
+    d = weight * np.abs(spec[j] - spec[i]) ** 2
+    return _shares(d)
+
+
+def energy_shares(sample: np.ndarray, normalized: bool = False) -> np.ndarray:
+    """(windows, channels, bins): share of each window's energy; NaN in channels of zeros."""
+    w = K.znorm(sample) if normalized else sample
+    q = w.shape[-1]
+    return _shares(np.array([K.bin_weight(b, q) for b in range(K.bins_of(q))]) * np.abs(np.fft.rfft(w, axis=-1)) ** 2)
+
+
+def _shares(e: np.ndarray) -> np.ndarray:
+    s = e.sum(axis=2, keepdims=True)
+    return np.where(s > 1e-12, e / np.where(s > 0, s, 1), np.nan)
+
+
 def ardc(sample: np.ndarray, normalized: bool = False) -> np.ndarray:
     """Average share of a pair's squared distance in each (channel, bin)."""
     w = K.znorm(sample) if normalized else sample
@@ -79,22 +131,16 @@ def ardc(sample: np.ndarray, normalized: bool = False) -> np.ndarray:
     spec = np.fft.rfft(w, axis=-1)
     weight = np.array([K.bin_weight(b, q) for b in range(K.bins_of(q))])
     total, n = np.zeros(spec.shape[1:]), np.zeros(spec.shape[1])
-    for i in range(len(spec) - 1):
-        d = weight * np.abs(spec[i + 1 :] - spec[i]) ** 2
-        s = d.sum(axis=2, keepdims=True)
-        ok = s[..., 0] > 1e-12
-        total += np.where(ok[..., None], d / np.where(s > 0, s, 1), 0).sum(axis=0)
-        n += ok.sum(axis=0)
+    for i in range(len(spec) - 1):  # a row of pairs at a time, so that many channels fit
+        d = _shares(weight * np.abs(spec[i + 1 :] - spec[i]) ** 2)
+        total += np.nan_to_num(d).sum(axis=0)
+        n += (~np.isnan(d[..., 0])).sum(axis=0)
     return total / np.maximum(n, 1)[:, None]
 
 
 def energy_share(sample: np.ndarray, normalized: bool = False) -> np.ndarray:
-    """Average share of a window's energy in each (channel, bin)."""
-    w = K.znorm(sample) if normalized else sample
-    q = w.shape[-1]
-    e = np.array([K.bin_weight(b, q) for b in range(K.bins_of(q))]) * np.abs(np.fft.rfft(w, axis=-1)) ** 2
-    s = e.sum(axis=2, keepdims=True)
-    return np.where(s > 0, e / np.where(s > 0, s, 1), 0).mean(axis=0)
+    """Average share of a window's energy in each (channel, bin); windows of zeros count as 0."""
+    return np.nan_to_num(energy_shares(sample, normalized)).mean(axis=0)
 
 
 def select_bins(share: np.ndarray, d_target: float) -> dict[int, list[int]]:
@@ -144,8 +190,7 @@ def build_index(
     t2 = perf_counter()
     spec = Spec(q, c, normalized, kept, dims, pivots, weighting, layout, leaf, n, [float(x) for x in weights], router, compress, boxes == "float32")
     entries = chunks.select("series_id", "chunk_id", "base_t", "n_core", "vals").mapInArrow(_entries_of(spec), ENTRY).persist(StorageLevel.DISK_ONLY)
-    # node boxes pay once there are many runs to bound; below that all runs are bounded directly
-    nodes = build_levels(entries, fanout) if n > NODES_FROM else None
+    nodes = build_levels(entries, fanout, len(dims))
     spec.phases = {"sample_bins_tiling": t1 - t0, "pivots": t2 - t1}
     return Index(spec, chunks, entries, nodes)
 
@@ -192,13 +237,16 @@ def _schema() -> pa.Schema:
 
 
 
-def build_levels(entries: DataFrame, fanout: int = 64) -> DataFrame:
+def build_levels(entries: DataFrame, fanout: int = 64, d: int | None = None) -> DataFrame:
     """Nodes of all levels up to a root: each is the box of its children (parent = id div fanout)."""
     def boxes(df: DataFrame, key: Column) -> DataFrame:
+        sums = [F.sum("n_entries").alias("n_entries"), F.sum("n_windows").alias("n_windows")]
+        if d is not None and d <= WIDE_DIMS:
+            return df.groupBy(key.alias("node_id")).agg(*sums, *box_agg("lo", "hi", d))
         long = df.select(key.alias("node_id"), "n_entries", "n_windows", F.posexplode(F.arrays_zip("lo", "hi")).alias("d", "b"))
-        sides = long.groupBy("node_id", "d").agg(F.min("b.lo").alias("lo"), F.max("b.hi").alias("hi")).groupBy("node_id").agg(F.array_sort(F.collect_list(F.struct("d", "lo", "hi"))).alias("s"))
-        sums = df.groupBy(key.alias("node_id")).agg(F.sum("n_entries").alias("n_entries"), F.sum("n_windows").alias("n_windows"))
-        return sums.join(sides, "node_id").select("node_id", "n_entries", "n_windows", F.transform("s", lambda x: x["lo"]).alias("lo"), F.transform("s", lambda x: x["hi"]).alias("hi"))
+        sides = long.groupBy("node_id", "d").agg(*sums, F.min("b.lo").alias("lo"), F.max("b.hi").alias("hi"))
+        one = sides.groupBy("node_id").agg(F.max("n_entries").alias("n_entries"), F.max("n_windows").alias("n_windows"), F.array_sort(F.collect_list(F.struct("d", "lo", "hi"))).alias("s"))
+        return one.select("node_id", "n_entries", "n_windows", F.transform("s", lambda x: x["lo"]).alias("lo"), F.transform("s", lambda x: x["hi"]).alias("hi"))
 
     level = boxes(entries.select("leaf_id", "lo", "hi", F.lit(1).cast("bigint").alias("n_entries"), F.col("n_windows").cast("bigint").alias("n_windows")), F.col("leaf_id")).persist(StorageLevel.DISK_ONLY)
     out, depth = level.withColumn("level", F.lit(0)), 0
@@ -346,12 +394,25 @@ def top_k(found: DataFrame, k: int, normalized: bool, whole_numbers: bool = True
     key = F.round(F.sqrt("d2"), 6) if normalized else F.col("d2")
     found = found.dropDuplicates(["query_id", "series_id", "start"])
     if exclusion:
-        near = Window.partitionBy("query_id", "series_id").orderBy("start").rangeBetween(-exclusion, exclusion)
-        found = found.withColumn("m", F.min(F.struct(F.col("d2"), F.col("start"))).over(near)).where(F.col("m.start") == F.col("start")).drop("m")
+        few = found.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy(key, "series_id", "start"))).where(F.col("r") <= k * (2 * exclusion + 1)).drop("r")
+        found = few.groupBy("query_id").applyInPandas(lambda p: _apart(p, k, exclusion, normalized), "query_id int, series_id bigint, start bigint, d2 double")
     ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(key, "series_id", "start")).cast("int")).where(F.col("rank") <= k)
     return finish(ranked, normalized, whole_numbers)
 
 
+def _apart(rows: pd.DataFrame, k: int, exclusion: int, normalized: bool) -> pd.DataFrame:
+    """The k nearest windows of a query such that no two of one series start within ``exclusion``; nearest first."""
+    rows = rows.assign(key=np.sqrt(rows["d2"]).round(6) if normalized else rows["d2"]).sort_values(["key", "series_id", "start"])
+    taken: dict[int, list[int]] = {}
+    keep = []
+    for s, t in zip(rows["series_id"], rows["start"], strict=True):
+        ok = len(keep) - keep.count(False) < k and all(abs(t - u) > exclusion for u in taken.get(s, ()))
+        keep.append(ok)
+        if ok:
+            taken.setdefault(s, []).append(t)
+    return rows[keep].drop(columns="key")
+
+
 def finish(ranked: DataFrame, normalized: bool, whole_numbers: bool = True) -> DataFrame:
     d2 = [] if normalized else [F.round("d2").cast("bigint").alias("d2") if whole_numbers else F.col("d2")]
     return ranked.select("query_id", "rank", "series_id", "start", *d2, F.round(F.sqrt("d2"), 4).alias("distance"))
@@ -359,49 +420,157 @@ def finish(ranked: DataFrame, normalized: bool, whole_numbers: bool = True) -> D
 
 @dataclass
 class Trace:
-    """What a search did: per query runs bounded, runs verified and windows verified."""
+    """What a search did: per query the node and run boxes bounded, the runs and windows verified (exact distances)."""
 
     rows: list[dict]
 
 
+def _cuts(queries: list[Query], reach: dict[int, float], eps: float) -> Column:
+    """The squared threshold of a row's query, widened by rounding; infinite where fewer than k windows are known."""
+    cut = F.create_map(*[x for qu in queries for x in (F.lit(qu.query_id), F.lit(float(reach.get(qu.query_id, np.inf))))])
+    return F.element_at(cut, F.col("query_id")) * (1 + eps) + eps
+
+
+def _few(df: DataFrame, rows: int) -> DataFrame:
+    """Broadcast where the bound on its rows allows it; else a shuffle join."""
+    return F.broadcast(df) if rows <= 10 * BROADCAST_ROWS else df
+
+
+def descend(index: Index, frame: DataFrame, queries: list[Query], reach: dict[int, float] | None = None, least: int | None = None, eps: float = EPS) -> DataFrame:
+    """query_id, leaf_id, nlb, n_entries, n_windows of the leaves that a way down the nodes reaches.
+
+    ``reach``: a node is entered if its bound is within the query's squared threshold. ``least``: the nearest nodes of
+    each level are entered until they hold so many windows. Leaf boxes that the driver holds are bounded there; else
+    the start is the lowest level that is small enough to be bounded as a whole, and each level below is a join.
+    """
+    n_queries = len(queries)
+    within = None if reach is None else _cuts(queries, reach, eps)
+    held = index.leaf_boxes()
+    if held is not None:
+        ids, n_entries, n_windows, lo, hi = held
+        rows = []
+        for qu, y in zip(queries, _features_of(index, queries), strict=True):
+            on = [i for i, d in enumerate(index.spec.dims) if d[0] in qu.channels]
+            nlb = K.box_gap2(y[on], lo[:, on], hi[:, on])
+            if reach is not None:
+                at = np.flatnonzero(nlb <= reach.get(qu.query_id, np.inf) * (1 + eps) + eps)
+            else:
+                at = np.lexsort((ids, nlb))
+                at = at[: int(np.searchsorted(np.cumsum(n_windows[at]), least)) + 1]
+            rows += zip([qu.query_id] * len(at), ids[at].tolist(), nlb[at].tolist(), n_entries[at].tolist(), n_windows[at].tolist(), strict=True)
+        return index.entries.sparkSession.createDataFrame(rows, "query_id int, leaf_id bigint, nlb double, n_entries bigint, n_windows bigint")
+    counts = index.levels()
+    start = min((lv for lv, n in counts.items() if n <= BROADCAST_ROWS), default=max(counts, default=0))
+    reached = None
+    for level in range(start, -1, -1):
+        nodes = index.nodes.where(F.col("level") == level).select("node_id", "parent_id", "n_entries", "n_windows", "lo", "hi")
+        if reached is not None:
+            nodes = nodes.join(_few(reached.select("query_id", F.col("node_id").alias("parent_id")), n_queries * counts[level + 1]), "parent_id").join(frame, "query_id")
+        else:
+            nodes = frame.crossJoin(nodes)
+        reached = nodes.withColumn("nlb", lower_bound(index.spec, pivots=False)).select("query_id", "node_id", "n_entries", "n_windows", "nlb")
+        if within is not None:
+            reached = reached.where(F.col("nlb") <= within)
+        if least is not None:
+            before = F.sum("n_windows").over(Window.partitionBy("query_id").orderBy("nlb", "node_id").rowsBetween(Window.unboundedPreceding, -1))
+            reached = reached.withColumn("before", F.coalesce(before, F.lit(0))).where(F.col("before") < least).drop("before")
+    return reached.withColumnRenamed("node_id", "leaf_id")
+
+
+def bounded_runs(index: Index, frame: DataFrame, leaves: DataFrame, n_queries: int, correction: str, flat: list[Column] = ()) -> DataFrame:
+    """The runs of the leaves reached, with their bound ``lb``."""
+    entries = index.entries
+    if "slab" in entries.columns:
+        slabs = [r[0] for r in leaves.select(F.floor(F.col("leaf_id") / SLAB).alias("slab")).distinct().limit(MOST_SLABS + 1).collect()]
+        if len(slabs) <= MOST_SLABS:  # beyond, the join alone picks the leaves
+            entries = entries.where(F.col("slab").isin(slabs))
+        for one in flat:
+            entries = entries.where(one)
+    pairs = _few(leaves.select("query_id", "leaf_id"), n_queries * index.levels().get(0, 0))
+    met = entries.join(pairs, "leaf_id").join(frame, "query_id")
+    return met.withColumn("lb", lower_bound(index.spec, correction)).select("query_id", "series_id", "chunk_id", "first_start", "last_start", "n_windows", "leaf_id", "lb")
+
+
+def flat_filters(index: Index, queries: list[Query], reach: dict[int, float], eps: float) -> list[Column]:
+    """Filters on the flat box columns that every run within some query's threshold passes."""
+    out = []
+    for d in range(min(FLAT_SIDES, len(index.spec.dims))):
+        if f"lo_{d}" not in index.entries.columns or any(index.spec.dims[d][0] not in qu.channels for qu in queries):
+            continue
+        ys = _features_of(index, queries)
+        r = [np.sqrt(reach.get(qu.query_id, np.inf) * (1 + eps) + eps) for qu in queries]
+        low, high = min(float(y[d]) - x for y, x in zip(ys, r, strict=True)), max(float(y[d]) + x for y, x in zip(ys, r, strict=True))
+        if np.isfinite(low) and np.isfinite(high):
+            out += [F.col(f"lo_{d}") <= high, F.col(f"hi_{d}") >= low]
+    return out
+
+
+def _features_of(index: Index, queries: list[Query]) -> list[np.ndarray]:
+    spec, out = index.spec, []
+    for qu in queries:
+        full = np.zeros((spec.c, spec.q))
+        full[qu.channels] = qu.values
+        out.append(K.window_features(full[None], spec.dims, spec.normalized)[0])
+    return out
+
+
 def knn_index(index: Index, queries: list[Query], k: int, *, browsing: bool = True, mode: str = "subsequence", correction: str = "nearest", eps: float = EPS, exclusion: int = 0, whole_numbers: bool = True, trace: Trace | None = None) -> DataFrame:
-    """Two probes: the k runs of least bound give a threshold from exact distances; all runs within it are verified."""
+    """Two probes down the nodes: the nearest leaves give a threshold from exact distances; all runs within it are verified.
+
+    ``browsing=False`` verifies the runs of the first probe again in the second. ``exclusion``: windows of a series
+    whose starts differ by so much or less from a nearer one's are left out; k of the others are returned.
+    """
     spec, spark = index.spec, index.entries.sparkSession
     if mode == "whole" and index.chunks.where((F.col("n_core") > 1) | (F.col("chunk_id") > 0)).limit(1).count():
         raise LengthMismatch("whole matching needs series as long as the window")
     if k <= 0 or not queries:
         return finish(spark.createDataFrame([], "query_id int, rank int, series_id bigint, start bigint, d2 double"), spec.normalized, whole_numbers)
+    n = len(queries)
+    # of each chosen window at most 2 x exclusion others of its series are nearer and left out: so many are enough
+    deep = k * (2 * exclusion + 1)
     frame = F.broadcast(query_frame(spark, index, queries))
-    bounded = frame.crossJoin(index.entries).withColumn("lb", lower_bound(spec, correction)).select("query_id", "series_id", "chunk_id", "first_start", "last_start", "n_windows", "leaf_id", "lb")
-    bounded = bounded.persist(StorageLevel.DISK_ONLY) if browsing else bounded
-    nearest = bounded.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("lb", "series_id", "first_start"))).where(F.col("r") <= k).drop("r").persist(StorageLevel.DISK_ONLY)
-    first = verify(nearest, index.chunks, queries, k, spec.normalized).persist(StorageLevel.DISK_ONLY)
-    ranked = first.withColumn("r", F.row_number().over(Window.partitionBy("query_id").orderBy("d2"))).where(F.col("r") == k)
-    tau = {r["query_id"]: r["d2"] for r in ranked.collect()}  # a number a query
-    # flat predicate per query; queries with fewer than k windows in reach take everything
-    cut = F.create_map(*[x for qu in queries for x in (F.lit(qu.query_id), F.lit(float(tau.get(qu.query_id, np.inf))))])
-    within = bounded.where(F.col("lb") <= F.element_at(cut, F.col("query_id")) * (1 + eps) + eps)
-    if index.nodes is not None and index.nodes.where("level = 0").count() <= BROADCAST_ROWS:
-        nodes = frame.crossJoin(index.nodes.where("level = 0").select("node_id", "lo", "hi")).withColumn("nlb", lower_bound(spec, pivots=False)).where(F.col("nlb") <= F.element_at(cut, F.col("query_id")) * (1 + eps) + eps)
-        within = within.join(F.broadcast(nodes.select("query_id", F.col("node_id").alias("leaf_id"))), ["query_id", "leaf_id"], "left_semi")
+    near = bounded_runs(index, frame, descend(index, frame, queries, least=deep), n, correction)
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy("lb", "series_id", "first_start"))
+    rows = near.withColumn("r", rank).where(F.col("r") <= deep).drop("r").collect()  # at most k runs a query
+    nearest = spark.createDataFrame(rows, near.schema)
+    found_first = verify(nearest, index.chunks, queries, deep, spec.normalized).collect()  # the k nearest of those
+    first = spark.createDataFrame(found_first, "query_id int, series_id bigint, start bigint, d2 double")
+    by_query: dict[int, list[float]] = {}
+    for r in found_first:
+        by_query.setdefault(r["query_id"], []).append(r["d2"])
+    reach = {i: sorted(d)[deep - 1] for i, d in by_query.items() if len(d) >= deep}
+    leaves = descend(index, frame, queries, reach)
+    within = bounded_runs(index, frame, leaves, n, correction, flat_filters(index, queries, reach, eps)).where(F.col("lb") <= _cuts(queries, reach, eps))
     if browsing:
         within = within.join(F.broadcast(nearest.select("query_id", "series_id", "first_start")), ["query_id", "series_id", "first_start"], "left_anti")
-    second = verify(within, index.chunks, queries, k, spec.normalized)
+    second = verify(within, index.chunks, queries, deep, spec.normalized)
     found = first.unionByName(second) if browsing else second
     if trace is not None:
         seen = nearest.unionByName(within) if browsing else within
-        trace.rows = [r.asDict() for r in seen.groupBy("query_id").agg(F.count(F.lit(1)).alias("runs"), F.sum("n_windows").alias("windows")).orderBy("query_id").collect()]
+        done = seen.groupBy("query_id").agg(F.count(F.lit(1)).alias("runs"), F.sum("n_windows").alias("windows"))
+        # leaves of the first probe lie within the threshold too, so the second probe's runs hold the first's
+        bounds = leaves.groupBy("query_id").agg(F.sum("n_entries").alias("run_bounds"), F.count(F.lit(1)).alias("leaves"))
+        small = min((x for x in index.levels().values() if x <= BROADCAST_ROWS), default=0)
+        trace.rows = [r.asDict() | {"node_bounds": 2 * max(small, index.levels().get(0, 0)), "exact_distances": r["windows"]} for r in done.join(bounds, "query_id", "left").orderBy("query_id").collect()]
     return top_k(found, k, spec.normalized, whole_numbers, exclusion)
 
 
-def range_query(index: Index, queries: list[Query], radius: float, *, correction: str = "nearest", eps: float = EPS, whole_numbers: bool = True) -> DataFrame:
-    """All windows strictly nearer than ``radius``: one probe, then exact distances."""
+def range_query(index: Index, queries: list[Query], radius: float, *, correction: str = "nearest", eps: float = EPS, whole_numbers: bool = True, ranked: bool = True) -> DataFrame:
+    """All windows strictly nearer than ``radius``: one probe down the nodes, then exact distances.
+
+    ``ranked=False`` leaves out the rank, which sorts all hits of a query in one task.
+    """
     spec, spark = index.spec, index.entries.sparkSession
+    reach = {qu.query_id: radius * radius for qu in queries}
+    cut, n = _cuts(queries, reach, eps), len(queries)
     frame = F.broadcast(query_frame(spark, index, queries))
-    within = frame.crossJoin(index.entries).withColumn("lb", lower_bound(spec, correction)).where(F.col("lb") <= radius * radius * (1 + eps) + eps)
+    leaves = descend(index, frame, queries, reach)
+    within = bounded_runs(index, frame, leaves, n, correction, flat_filters(index, queries, reach, eps)).where(F.col("lb") <= cut)
     found = verify(within, index.chunks, queries, None, spec.normalized, radius * radius).where(F.sqrt("d2") < radius)
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("d2", "series_id", "start")).cast("int"))
-    return finish(ranked, spec.normalized, whole_numbers)
+    if not ranked:
+        return finish(found.withColumn("rank", F.lit(None).cast("int")), spec.normalized, whole_numbers).drop("rank")
+    found = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("d2", "series_id", "start")).cast("int"))
+    return finish(found, spec.normalized, whole_numbers)
 
 
 def with_timestamps(found: DataFrame, base_ts: str, step: str) -> DataFrame:
@@ -410,26 +579,51 @@ def with_timestamps(found: DataFrame, base_ts: str, step: str) -> DataFrame:
 
 
 def append(index: Index, new_chunks: DataFrame) -> Index:
-    """A delta segment: the new chunks are bounded with the same spec; boxes are those of their members, so search stays exact."""
+    """A delta segment: the new chunks go to the leaves of the same spec; boxes are those of their members, so search stays exact."""
     spec = index.spec
     delta = new_chunks.select("series_id", "chunk_id", "base_t", "n_core", "vals").mapInArrow(_entries_of(spec), ENTRY)
-    entries = index.entries.unionByName(delta).persist(StorageLevel.DISK_ONLY)
-    return Index(spec, index.chunks.unionByName(new_chunks.select(*index.chunks.columns)), entries, build_levels(entries) if index.nodes is not None else None)
+    entries = index.entries.select(*delta.columns).unionByName(delta).persist(StorageLevel.DISK_ONLY)
+    return Index(spec, index.chunks.unionByName(new_chunks.select(*index.chunks.columns)), entries, build_levels(entries, d=len(spec.dims)))
 
 
-def merge_border_runs(entries: DataFrame) -> DataFrame:
-    """Runs that a chunk's border cut, as islands: same series and leaf, starts that follow each other."""
-    w = Window.partitionBy("series_id").orderBy("first_start")
-    new = F.when((F.lag("leaf_id").over(w) == F.col("leaf_id")) & (F.lag("last_start").over(w) + 1 == F.col("first_start")), 0).otherwise(1)
-    return entries.withColumn("island", F.sum(new).over(w)).groupBy("series_id", "leaf_id", "island").agg(F.min("first_start").alias("first_start"), F.max("last_start").alias("last_start"), F.sum("n_windows").alias("n_windows")).drop("island")
+def compact(index: Index, fill: float = 2.0, rounds: int = 32) -> Index:
+    """Regrouping after appends: a leaf with over ``fill`` times the leaf size is split until none is left.
+
+    A split cuts the dimension in which the centres of the leaf's boxes lie widest at their median; all leaves over the
+    limit are split in one pass, so no leaf is ever collected. Leaves of a single run can't be split.
+    """
+    d, entries = len(index.spec.dims), index.entries
+    names = [c.strip().split(" ")[0] for c in ENTRY.split(", ")]
+    entries = entries.select(*names)
+    centre = lambda i: (F.get("lo", i) + F.get("hi", i)) / 2
+    for _ in range(rounds if d else 0):
+        spans = [(F.max(centre(F.lit(i))) - F.min(centre(F.lit(i)))).alias(f"s{i}") for i in range(d)]
+        sizes = entries.groupBy("leaf_id").agg(F.sum("n_windows").alias("n"), *spans).where(F.col("n") > fill * index.spec.leaf)
+        widest = F.greatest(*[F.struct(F.col(f"s{i}").alias("s"), F.lit(-i).alias("i")) for i in range(d)]) if d > 1 else F.struct(F.col("s0").alias("s"), F.lit(0).alias("i"))
+        over = sizes.withColumn("w", widest).where("w.s > 0").select("leaf_id", (-F.col("w.i")).alias("dim"))
+        cuts = entries.join(over, "leaf_id").withColumn("c", centre(F.col("dim"))).groupBy("leaf_id", "dim").agg(F.percentile_approx("c", 0.5).alias("cut"), F.max("c").alias("top"))
+        # the cut goes below the largest centre, so that both sides hold a run
+        cuts = written(cuts.withColumn("cut", F.when(F.col("cut") < F.col("top"), F.col("cut"))), "cuts")
+        if cuts.isEmpty():
+            break
+        first = (entries.agg(F.max("leaf_id")).first()[0] or 0) + 1
+        fresh = cuts.select("leaf_id", "dim", "cut", "top", (F.lit(first) + F.row_number().over(Window.orderBy("leaf_id")) - 1).alias("other"))
+        moved = entries.join(fresh, "leaf_id", "left")
+        c = centre(F.col("dim"))
+        right = F.coalesce(F.when(F.col("cut").isNull(), c >= F.col("top")).otherwise(c > F.col("cut")), F.lit(False))
+        entries = written(moved.withColumn("leaf_id", F.when(right, F.col("other")).otherwise(F.col("leaf_id"))).select(*names), "entries")
+    return Index(index.spec, index.chunks, entries, build_levels(entries, d=d))
 
 
 def save_index(index: Index, path: str) -> None:
-    """Entries sorted by leaf and partitioned by slab (64 leaves), chunks, nodes, and the spec as one JSON row."""
+    """Entries sorted by leaf, partitioned by slab and with flat box columns; chunks, nodes, and the spec as one JSON row."""
     spark, spec = index.entries.sparkSession, index.spec
-    index.entries.withColumn("slab", F.floor(F.col("leaf_id") / 64)).repartition("slab").sortWithinPartitions("leaf_id").write.partitionBy("slab").mode("overwrite").parquet(f"{path}/entries")
+    flat = [F.get(c, F.lit(i)).alias(f"{c}_{i}") for i in range(min(FLAT_SIDES, len(spec.dims))) for c in ("lo", "hi")]
+    names = [c.strip().split(" ")[0] for c in ENTRY.split(", ")]
+    index.entries.select(*names, *flat, F.floor(F.col("leaf_id") / SLAB).alias("slab")).repartition("slab").sortWithinPartitions("leaf_id").write.partitionBy("slab").mode("overwrite").parquet(f"{path}/entries")
     index.chunks.write.mode("overwrite").parquet(f"{path}/chunks")
-    (build_levels(index.entries) if index.nodes is None else index.nodes).write.mode("overwrite").parquet(f"{path}/nodes")
+    index.levels()
+    index.nodes.write.mode("overwrite").parquet(f"{path}/nodes")
     told = asdict(spec) | {"pivots": spec.pivots.tolist(), "router": _listed(spec.router)}
     spark.createDataFrame([(json.dumps(told),)], "spec string").write.mode("overwrite").parquet(f"{path}/spec")
 
@@ -448,5 +642,4 @@ def load_index(spark: SparkSession, path: str) -> Index:
     told["router"] = _nested(told["router"])
     told["kept"] = {int(c): b for c, b in told["kept"].items()}
     told["dims"] = [tuple(d) for d in told["dims"]]
-    entries = spark.read.parquet(f"{path}/entries").drop("slab")
-    return Index(Spec(**told), spark.read.parquet(f"{path}/chunks"), entries.select(*[c.strip().split(" ")[0] for c in ENTRY.split(", ")]), spark.read.parquet(f"{path}/nodes"))
+    return Index(Spec(**told), spark.read.parquet(f"{path}/chunks"), spark.read.parquet(f"{path}/entries"), spark.read.parquet(f"{path}/nodes"))

@@ -24,7 +24,7 @@ def timed_build(chunks: DataFrame, q: int, **options) -> tuple[I.Index, dict[str
     """Index and seconds by phase: sample/bins/tiling, pivots, runs (features of all windows), levels."""
     index, total = timed(lambda: I.build_index(chunks, q, **options))
     _, runs = timed(index.entries.count)
-    nodes, levels = timed(lambda: I.build_levels(index.entries).count())
+    nodes, levels = timed(lambda: I.build_levels(index.entries, d=len(index.spec.dims)).count())
     return index, index.spec.phases | {"build": total, "runs": runs, "levels": levels, "nodes": float(nodes)}
 
 
@@ -52,7 +52,8 @@ def pruning_windows(verified: dict[int, int], total: int) -> float:
 
 def pruning_nodes(index: I.Index, queries: list[I.Query], tau: dict[int, float]) -> DataFrame:
     """Share of nodes of all levels that the threshold keeps from being visited (another base than windows)."""
-    nodes = index.nodes if index.nodes is not None else I.build_levels(index.entries)
+    index.levels()
+    nodes = index.nodes
     frame = F.broadcast(I.query_frame(nodes.sparkSession, index, queries))
     cut = F.create_map(*[x for i, t in tau.items() for x in (F.lit(i), F.lit(float(t)))])
     seen = frame.crossJoin(nodes.select("level", "node_id", "lo", "hi")).withColumn("lb", I.lower_bound(index.spec, pivots=False))
@@ -60,12 +61,19 @@ def pruning_nodes(index: I.Index, queries: list[I.Query], tau: dict[int, float])
 
 
 def coverage(sample: np.ndarray, normalized: bool = False) -> list[dict]:
-    """Share of distance and of energy in the top bins of each channel, with their running sums."""
+    """Share of distance and of energy in the top bins of each channel, their running sums, and the running sums' 90 % interval.
+
+    The interval is that of the single pairs' (windows') own running sums over the bins of largest mean share.
+    """
     out = []
-    for kind, share in (("distance", I.ardc(sample, normalized)), ("energy", I.energy_share(sample, normalized))):
-        for c, row in enumerate(share):
-            order = np.argsort(-row, kind="stable")
-            out += [{"kind": kind, "channel": c, "place": i + 1, "bin": int(b), "share": float(row[b]), "cumulative": float(row[order[: i + 1]].sum())} for i, b in enumerate(order)]
+    for kind, each in (("distance", I.pair_shares(sample, normalized)), ("energy", I.energy_shares(sample, normalized))):
+        for c in range(each.shape[1]):
+            rows = each[~np.isnan(each[:, c]).any(axis=1), c]
+            share = rows.mean(axis=0) if len(rows) else np.zeros(each.shape[2])
+            order = np.argsort(-share, kind="stable")
+            run = np.cumsum(rows[:, order], axis=1)
+            lo, hi = np.quantile(run, (0.05, 0.95), axis=0) if len(run) else (np.cumsum(share[order]),) * 2
+            out += [{"kind": kind, "channel": c, "place": i + 1, "bin": int(b), "share": float(share[b]), "cumulative": float(share[order[: i + 1]].sum()), "low": float(lo[i]), "high": float(hi[i])} for i, b in enumerate(order)]
     return out
 
 

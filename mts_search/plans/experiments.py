@@ -3,13 +3,13 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..baselines import methods as B
 from ..operators import index as I
 from ..operators import metrics as M
-from ..operators.series import query_points, to_chunks
+from ..operators.series import indexed_part, query_points, to_chunks
 from ..session import ship
 from .workloads import chunks_of, index_of, points_of, queries_of
 
@@ -114,17 +114,98 @@ def ablate_tiling(spark, d):
 
 
 def node_pruning_channels(spark, d):
-    """Share of nodes pruned by the number of query channels."""
+    """Share of nodes pruned and relative contrast by the number of query channels, of 5 and of as many as there are suppliers."""
     out = None
-    index = index_of(spark, d, NAME)
-    for n in (1, 2, 5):
-        qs = queries_of(spark, d, NAME, list(range(n)))
-        tau = {r["query_id"]: r["distance"] ** 2 + 1e-3 for r in I.knn_index(index, qs, 1).collect()}
-        one = M.pruning_nodes(index, qs, tau).withColumn("channels", F.lit(n))
-        out = one if out is None else out.unionByName(one)
+    for name, sizes in ((NAME, (1, 2, 5)), ("many_channels", (4, 16, 64, 10**9))):
+        index = index_of(spark, d, name)
+        for n in sorted({min(n, index.spec.c) for n in sizes}):
+            qs = queries_of(spark, d, name, list(range(n)))
+            whole = B.knn_brute(chunks_of(spark, d, name), qs, 10**9).groupBy("query_id").agg(F.max("distance").alias("far"), F.min(F.when(F.col("distance") > 0, F.col("distance"))).alias("near"))
+            tau = {r["query_id"]: r["distance"] ** 2 + 1e-3 for r in I.knn_index(index, qs, 1).collect()}
+            contrast = whole.select("query_id", F.round(F.col("far") / F.col("near"), 4).alias("contrast"))
+            one = M.pruning_nodes(index, qs, tau).join(contrast, "query_id").withColumn("channels", F.lit(n)).withColumn("series", F.lit(name))
+            out = one if out is None else out.unionByName(one)
     return out
 
 
+def _workload(spark, d, n: int, noise: float = 0.1, held_out: bool = False) -> list[I.Query]:
+    """n queries of all channels: cuts by hash with Gaussian noise, the first by hash."""
+    rows = _noisy(spark, d, NAME, n, noise, held_out).select(F.dense_rank().over(Window.orderBy("series_id", "start")).alias("query_id"), "channel", "j", "qv")
+    return I.collect_queries(rows)
+
+
+def bench_queries(spark, d):
+    """100 noisy queries as one batch, three times: index, scan and brute; the build apart; median seconds and windows pruned."""
+    ship(spark)
+    qs, chunks = _workload(spark, d, 100), chunks_of(spark, d, NAME)
+    index, phases = M.timed_build(chunks, 52)
+    build = phases["build"] + phases["runs"] + phases["levels"]
+    trace = I.Trace([])
+    I.knn_index(index, qs, 1, whole_numbers=False, trace=trace).collect()
+    pruned = M.pruning_windows({r["query_id"]: r["windows"] for r in trace.rows}, index.spec.n_windows)
+    bounded = float(np.median([r["run_bounds"] for r in trace.rows])) / max(1, index.entries.count())
+    out = [{"method": "index", "build_s": build, **M.bench_queries(lambda q: I.knn_index(index, q, 1, whole_numbers=False), qs, 3), "pruned": pruned, "runs_bounded": bounded}]
+    for name, f in (("scan", B.knn_scan), ("brute", B.knn_brute)):
+        out.append({"method": name, "build_s": 0.0, **M.bench_queries(lambda q, f=f: f(chunks, q, 1, whole_numbers=False), qs, 3), "pruned": 0.0, "runs_bounded": 1.0})
+    return _frame(spark, out)
+
+
+def amortized_measured(spark, d):
+    """Measured break-even of the index against the scan, up to 3000 queries (0: not within them)."""
+    got = {r["method"]: r for r in bench_queries(spark, d).collect()}
+    a, b, first = M.amortize(got["index"]["build_s"], [got["index"]["query_s"]] * 3000, [got["scan"]["query_s"]] * 3000)
+    return _frame(spark, [{"queries": n, "index_s": a[n - 1], "scan_s": b[n - 1], "break_even": first or 0} for n in (1, 10, 45, 100, 1000, 3000)])
+
+
+def difficulty(spark, d):
+    """Seconds and contrast by noise and origin of the queries: the harder, the lower the contrast."""
+    ship(spark)
+    rows = []
+    for origin in ("indexed", "held out"):
+        out = origin == "held out"
+        chunks, index = chunks_of(spark, d, NAME, out), index_of(spark, d, NAME, out)
+        for noise in (0.1, 0.4, 1.6):
+            qs = _workload(spark, d, 10, noise, out)
+            trace = I.Trace([])
+            _, s = M.timed(lambda: I.knn_index(index, qs, 1, whole_numbers=False, trace=trace).collect())  # noqa: B023
+            far = B.knn_brute(chunks, qs, 10**9, whole_numbers=False).groupBy("query_id").agg((F.max("distance") / F.min(F.when(F.col("distance") > 0, F.col("distance")))).alias("contrast")).agg(F.avg("contrast")).first()[0]
+            rows.append({"origin": origin, "noise": noise, "seconds": s / len(qs), "contrast": far or 0.0})
+    return M.difficulty_report(_frame(spark, rows))
+
+
+def build_by_n(spark, d):
+    """Build seconds and index size of all methods, raw and normalised, on a third, two thirds and all of the series."""
+    ship(spark)
+    p, out = points_of(spark, d, NAME), []
+    n = p.select("series_id").distinct().count()
+    for part in (1, 2, 3):
+        some = p.where(F.col("series_id") <= n * part // 3).persist()
+        chunks = to_chunks(some, 52).persist()
+        data = some.count() * 8
+        for norm in (False, True):
+            for m in ("index", "trail", "meanlookup", "segtree", "envelope"):
+                if m == "index":
+                    built, s = M.timed(lambda: I.build_index(chunks, 52, normalized=norm))  # noqa: B023
+                    size = F.size("lo") + F.size("hi") + F.size("plo") + F.size("phi")
+                else:
+                    built, s = M.timed(lambda: B.build_channel_index(chunks, 52, m, normalized=norm))  # noqa: B023
+                    size = F.size("lo") + F.size("hi")
+                held, more = M.timed(lambda: built.entries.agg(F.sum(size * 8 + 44)).first()[0])  # noqa: B023
+                out.append({"method": m, "normalized": str(norm).lower(), "series": n * part // 3, "build_s": s + more, "index_bytes": held or 0, "index_percent": 100 * (held or 0) / data})
+    return _frame(spark, out)
+
+
+def search_counts(spark, d):
+    """Node bounds, run bounds, runs and exact distances of each query of the default workloads, raw, and their shares."""
+    out = []
+    for name in ("supplier_week_cum", "supplier_week", "nation"):
+        index, trace = index_of(spark, d, name), I.Trace([])
+        I.knn_index(index, queries_of(spark, d, name), 10, trace=trace).collect()
+        entries = index.entries.count()
+        out += [{"series": name, **{k: v for k, v in r.items() if k != "windows"}, "runs_bounded": r["run_bounds"] / entries, "windows_verified": r["windows"] / index.spec.n_windows} for r in trace.rows]
+    return _frame(spark, out)
+
+
 def coverage(spark, d):
     """Running share of distance and energy in the top bins (the distance needs fewer)."""
     ship(spark)
@@ -138,15 +219,26 @@ def chooser(spark, d):
     return _frame(spark, rows)
 
 
-def gen_queries(spark, d):
-    """Noisy cuts by hash with Gaussian noise of a tenth of each channel's deviation (counter hash, no rand())."""
-    p = points_of(spark, d, "supplier_week")
+def _noisy(spark, d, name: str, n: int, noise: float = 0.1, held_out: bool = False):
+    """n cuts of 52 steps by hash, with Gaussian noise of ``noise`` deviations of each channel (counter hash, no rand()).
+
+    ``held_out``: cut from the series that ``indexed_part`` leaves out.
+    """
+    p = points_of(spark, d, name)
+    if held_out:
+        p = p.join(F.broadcast(indexed_part(p).select("series_id").distinct()), "series_id", "left_anti")
     stats = p.groupBy("series_id", "channel").agg(F.stddev_pop("v").alias("sd"))
-    starts = p.where("channel = 0 and t <= 305").orderBy(F.xxhash64("series_id", "t", F.lit(42)), "series_id", "t").limit(100).select(F.col("series_id"), F.col("t").alias("start"))
+    span = p.groupBy("series_id").agg(F.max("t").alias("last"))
+    starts = p.where("channel = 0").join(span, "series_id").where("t <= last - 51").orderBy(F.xxhash64("series_id", "t", F.lit(42)), "series_id", "t").limit(n).select(F.col("series_id"), F.col("t").alias("start"))
     cut = p.join(F.broadcast(starts), "series_id").where("t >= start and t < start + 52").join(F.broadcast(stats), ["series_id", "channel"])
     u = lambda s: (F.pmod(F.xxhash64("series_id", "channel", "t", "start", F.lit(s)), F.lit(1 << 40)) + 0.5) / float(1 << 40)
     g = F.sqrt(-2 * F.log(u("r"))) * F.cos(2 * F.pi() * u("phi"))
-    return cut.select("series_id", "start", "channel", (F.col("t") - F.col("start")).alias("j"), (F.col("v") + 0.1 * F.col("sd") * g).alias("qv"))
+    return cut.select("series_id", "start", "channel", (F.col("t") - F.col("start")).alias("j"), (F.col("v") + noise * F.col("sd") * g).alias("qv"))
+
+
+def gen_queries(spark, d):
+    """The default workload: 100 noisy cuts."""
+    return _noisy(spark, d, "supplier_week", 100)
 
 
 def scaling_exponents(spark, d):
@@ -167,4 +259,5 @@ def cost_model(spark, d):
 QUERIES = {
     "bench_methods": bench_methods, "bench_scale_n": bench_scale_n, "bench_qlen": bench_qlen, "bench_leaf": bench_leaf, "bench_init": bench_init, "index_size": index_size, "ablate_pivots": ablate_pivots, "ablate_tiling": ablate_tiling,
     "node_pruning_channels": node_pruning_channels, "coverage": coverage, "choose_plan": chooser, "gen_queries": gen_queries, "cost_model": cost_model,
+    "bench_queries": bench_queries, "amortized_measured": amortized_measured, "difficulty": difficulty, "build_by_n": build_by_n, "search_counts": search_counts, "scaling_exponents": scaling_exponents,
 }

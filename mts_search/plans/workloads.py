@@ -132,6 +132,49 @@ def after_append(spark: SparkSession, sf_dir: str) -> DataFrame:
     return I.knn_index(I.append(base, new), queries_of(spark, sf_dir, "supplier_week"), 10)
 
 
+def after_compact(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same after regrouping the leaves that the appended segment has overfilled."""
+    ship(spark)
+    fx = X.FIXTURES["nation"]
+    p = points_of(spark, sf_dir, "nation")
+    base = I.build_index(to_chunks(p.where("t < 200"), fx.q), fx.q, leaf_pct=1.0)
+    first_new = 200 - fx.q + 1
+    new = to_chunks(p.where(F.col("t") >= first_new).withColumn("t", F.col("t") - first_new), fx.q)
+    new = new.withColumn("base_t", F.col("base_t") + first_new).withColumn("chunk_id", F.col("chunk_id") + 1_000_000)
+    return I.knn_index(I.compact(I.append(base, new)), queries_of(spark, sf_dir, "nation"), 5)
+
+
+def with_dates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hits with the first day of their weeks."""
+    found = by_index("supplier_week", 5)[0](spark, sf_dir)
+    return I.with_timestamps(found, "date'1995-01-02'", "interval 7 days").withColumn("start_ts", F.to_date("start_ts"))
+
+
+def apart(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The three nearest windows of which no two of one series start within 26 weeks."""
+    return I.knn_index(index_of(spark, sf_dir, "nation"), queries_of(spark, sf_dir, "nation", n=1), 3, exclusion=26).select("rank", "series_id", "start", "d2")
+
+
+def clusters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Suppliers' quantity lines in three groups: nearest of three seed lines, then nearest of the groups' mean lines."""
+    p = points_of(spark, sf_dir, "supplier_week_cum").where("channel = 0").select("series_id", "t", F.col("v").cast("double").alias("v"))
+    ids = p.select("series_id").distinct().withColumn("r", F.row_number().over(Window.orderBy("series_id")) - 1)
+    n = F.count(F.lit(1)).over(Window.partitionBy())
+    seeds = ids.withColumn("n", n).where("r in (0, n div 3, 2 * n div 3)").select("series_id", F.row_number().over(Window.orderBy("r")).alias("g"))
+    lines = p.join(F.broadcast(seeds), "series_id").select("g", "t", F.col("v").alias("m"))
+    for _ in range(2):
+        d = p.join(F.broadcast(lines), "t").groupBy("series_id", "g").agg(F.sum((F.col("v") - F.col("m")) ** 2).alias("d2"))
+        of = d.groupBy("series_id").agg(F.min(F.struct("d2", "g")).alias("m")).select("series_id", F.col("m.g").alias("g"))
+        lines = p.join(F.broadcast(of), "series_id").groupBy("g", "t").agg(F.avg("v").alias("m"))
+    return of.select("series_id", F.col("g").cast("bigint").alias("cluster"))
+
+
+_NEAREST = "select series_id, g from (select p.series_id, l.g, row_number() over (partition by p.series_id order by sum((p.v - l.m) ** 2), l.g) as k from p join {0} l using (t) group by 1, 2) where k = 1"
+CLUSTER_SQL = f"""with p as materialized (select series_id, t, cast(v as double) as v from ({X.supplier_sql(cumulative=True)}) where channel = 0), ids as (select series_id, row_number() over (order by series_id) - 1 as r, count(*) over () as n from (select distinct series_id from p)),
+s as (select series_id, row_number() over (order by r) as g from ids where r in (0, n // 3, 2 * n // 3)), l0 as (select g, t, v as m from p join s using (series_id)),
+a as ({_NEAREST.format('l0')}), l1 as (select g, t, avg(v) as m from p join a using (series_id) group by 1, 2), b as ({_NEAREST.format('l1')}) select series_id, g as cluster from b"""
+
+
 def doc_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     return B.knn_scan(chunks_of(spark, sf_dir, "doc_lines"), queries_of(spark, sf_dir, "doc_lines"), 5)
@@ -160,13 +203,42 @@ w as (select p.series_id, p.t - qp.j as start, sum((p.v - qp.qv) * (p.v - qp.qv)
 select cast(0 as integer) as query_id, cast(row_number() over (order by d2, series_id, start) as integer) as rank, series_id, start, cast(d2 as bigint) as d2, round(sqrt(d2), 4) as distance from w where c = 24 qualify rank <= 10"""
 
 
-def classify(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """1NN label of every tenth vector among the others, by whole matching."""
-    v = X.table(spark, sf_dir, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: F.round(x.cast("double") * 1e6).cast("bigint")).alias("e"))
-    a, b = v.where("vec_id % 10 = 0"), v.where("vec_id % 10 <> 0")
-    d2 = F.aggregate(F.zip_with("e", "f", lambda x, y: (x - y) * (x - y)), F.lit(0).cast("bigint"), lambda s, x: s + x)
-    pairs = b.join(F.broadcast(a.select(F.col("vec_id").alias("query_id"), F.col("label").alias("truth"), F.col("e").alias("f")))).withColumn("d2", d2)
-    best = pairs.groupBy("query_id", "truth").agg(F.min(F.struct("d2", "vec_id", "label")).alias("m"))
+def classify(spark: SparkSession, sf_dir: str, block: int = 20_000) -> DataFrame:
+    """1NN label of every tenth vector among the others, by whole matching: a stated query set against all rows, in blocks.
+
+    A pass over the vectors a block of queries; each batch gives its nearest vector of every query, by one matrix product
+    (whole numbers below 2 ** 53, so exact), and the smallest of those is taken.
+    """
+    ship(spark)
+    v = X.table(spark, sf_dir, "embeddings").select("vec_id", "label", F.transform("embedding", lambda x: F.round(x.cast("double") * 1e6)).alias("e"))
+    base = v.where("vec_id % 10 <> 0")
+    out, held = None, []
+
+    def search(queries: list) -> DataFrame:
+        ids, truth = [r["vec_id"] for r in queries], [r["label"] for r in queries]
+        y = np.array([r["e"] for r in queries], float)
+
+        def run(batches):
+            for rows in batches:
+                if not rows.num_rows:
+                    continue
+                own = np.argsort(np.array(rows.column(0).to_pylist()), kind="stable")
+                x = np.array(rows.column(2).to_pylist(), float)[own]
+                d2 = (y * y).sum(axis=1)[:, None] + (x * x).sum(axis=1)[None] - 2 * y @ x.T
+                at = own[d2.argmin(axis=1)]
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(truth, rows.column(1).type), rows.column(0).take(pa.array(at)), rows.column(1).take(pa.array(at)), pa.array(d2.min(axis=1))], names=["query_id", "truth", "vec_id", "label", "d2"])
+
+        kind = v.schema["label"].dataType.simpleString()
+        return base.mapInArrow(run, f"query_id bigint, truth {kind}, vec_id bigint, label {kind}, d2 double")
+
+    for r in v.where("vec_id % 10 = 0").toLocalIterator():
+        held.append(r)
+        if len(held) == block:
+            out = search(held) if out is None else out.unionByName(search(held))
+            held = []
+    if held or out is None:
+        out = search(held) if out is None else out.unionByName(search(held))
+    best = out.groupBy("query_id", "truth").agg(F.min(F.struct("d2", "vec_id", "label")).alias("m"))
     return best.select("query_id", F.col("m.vec_id").alias("vec_id"), F.col("m.label").alias("predicted"), (F.col("m.label") == F.col("truth")).alias("correct"))
 
 
@@ -316,7 +388,7 @@ for _n in (0, 4, 16):
     _add(f"knn_noise_{_n}", by_index("supplier_week", 5, noise=_n))
 for _k, _c in {"1": [0], "2": [0, 1], "3": [1, 3, 4], "all": None}.items():
     _add(f"knn_channels_{_k}", by_index("supplier_week", 5, channels=_c))
-for _k, _c in {"2": [0, 5], "4": [0, 2, 5, 9]}.items():
+for _k, _c in {"2": [0, 5], "4": [0, 2, 5, 9], "16": list(range(16)), "64": list(range(64)), "all": None}.items():
     _add(f"knn_many_channels_{_k}", by_index("many_channels", 1, channels=_c))
 for _m in ("brute", "scan", "trail", "meanlookup", "segtree", "envelope"):
     _add(f"knn_{_m}", by_baseline("nation", 5, _m))
@@ -331,6 +403,9 @@ _fx = X.FIXTURES["supplier_week"]
 _add("range_supplier_week", (range_week, X.knn_sql(_fx.sql, 52, 0, 2, 1, [0], radius=RADIUS)))
 _add("knn_whole_embeddings", (whole_embeddings, X.knn_sql(X.embeddings_sql(), 64, 5, 2, 1000, whole=True)))
 _add("knn_after_append", (after_append, X.knn_sql(_fx.sql, 52, 10)))
+_add("knn_after_compact", (after_compact, X.knn_sql(X.FIXTURES["nation"].sql, 52, 5)))
+_add("knn_timestamps", (with_dates, f"select *, date '1995-01-02' + cast(start * 7 as integer) as start_ts from ({X.knn_sql(_fx.sql, 52, 5)})"))
+_add("cluster_suppliers", (clusters, CLUSTER_SQL))
 _add("knn_doc_lines", (doc_lines, X.knn_sql(X.doc_lines_sql(), 4, 5)))
 _add("usecase_supplier_incident", (incident, INCIDENT_SQL))
 _add("knn_classify", (classify, CLASSIFY_SQL))
@@ -339,4 +414,4 @@ _add("topk_per_series", (topk_per_series, f"select series_id, start, d2 from (se
 _add("contrast_noise", (contrast, CONTRAST_SQL))
 _add("threshold_tau", (lambda s, d: wrapper_step(s, d, False), _wrapper_sql(False)))
 _add("wrapper_candidates", (lambda s, d: wrapper_step(s, d, True), _wrapper_sql(True)))
-QUERIES |= {"knn_walks": walks_found, "verify_exact": verify_exact, "walks_stats": walks_stats}
+QUERIES |= {"knn_apart": apart, "knn_walks": walks_found, "verify_exact": verify_exact, "walks_stats": walks_stats}

@@ -142,3 +142,57 @@ def test_discords_of_all_starts(spark, monkeypatch):
     cut = {i: [a[s : s + 52] for s in range(24)] for i, a in x.items()}
     d = sorted((-min(int(((w - u) ** 2).sum()) for o in cut if o != i for u in cut[o]), i, s) for i in cut for s, w in enumerate(cut[i]))
     assert [(-r["nearest_d2"], r["series_id"], r["start"]) for r in W.discords(spark, "").collect()] == d[:3]
+
+
+def test_nodes_come_before_runs(spark, tmp_path, monkeypatch):
+    from mts_search.plans.explain_checks import explain_checks, plan_text
+
+    p = walks(spark, 24, 3, 200).withColumn("v", F.round(F.col("v") * 10).cast("bigint")).persist()
+    chunks, qs = to_chunks(p, Q, 100).persist(), I.collect_queries(query_points(p, Q, 2, 3))
+    index = I.build_index(chunks, Q, leaf_pct=0.2)
+    truth = rows(B.knn_brute(chunks, qs, 3))
+    trace = I.Trace([])
+    assert rows(I.knn_index(index, qs, 3, trace=trace)) == truth
+    n = index.entries.count()
+    assert all(r["run_bounds"] < 0.3 * n and r["runs"] <= r["run_bounds"] for r in trace.rows)
+    # the way down by joins, level by level, reaches the same leaves as the one on the driver
+    held = {(r["query_id"], r["leaf_id"]) for r in I.descend(index, None, qs, {q.query_id: 900.0 for q in qs}).collect()}
+    monkeypatch.setattr(I, "HELD_VALUES", 0)
+    monkeypatch.setattr(I, "BROADCAST_ROWS", 8)
+    joined = I.Index(index.spec, index.chunks, index.entries, I.build_levels(index.entries, 4))
+    frame = F.broadcast(I.query_frame(spark, joined, qs))
+    assert {(r["query_id"], r["leaf_id"]) for r in I.descend(joined, frame, qs, {q.query_id: 900.0 for q in qs}).collect()} == held
+    assert rows(I.knn_index(joined, qs, 3)) == truth
+    monkeypatch.undo()
+    # a saved index reads the slabs reached and lets statistics skip row groups
+    monkeypatch.setattr(I, "SLAB", 4)
+    I.save_index(index, str(tmp_path / "ix"))
+    saved = I.load_index(spark, str(tmp_path / "ix"))
+    assert rows(I.knn_index(saved, qs, 3)) == truth
+    reach = {q.query_id: 900.0 for q in qs}
+    frame = F.broadcast(I.query_frame(spark, saved, qs))
+    found = I.bounded_runs(saved, frame, I.descend(saved, frame, qs, reach), len(qs), "nearest", I.flat_filters(saved, qs, reach, 1e-9))
+    flags = explain_checks(found)
+    assert flags["partition_filters"] and flags["pushed_filters"] and "lo_0" in plan_text(found)
+
+
+def test_compact_splits_overfull_leaves(data):
+    p, _, qs = data
+    old, new = to_chunks(p.where("series_id < 1"), Q, 50), to_chunks(p.where("series_id >= 1"), Q, 50)
+    grown = I.append(I.build_index(old, Q, leaf_pct=10.0), new)
+    tidy = I.compact(grown)
+    most = lambda x: x.entries.groupBy("leaf_id").agg(F.sum("n_windows").alias("n"), F.count(F.lit(1)).alias("c")).where("c > 1").agg(F.max("n")).first()[0]
+    assert most(grown) > 2 * grown.spec.leaf >= most(tidy)
+    assert tidy.entries.agg(F.sum("n_windows")).first()[0] == grown.entries.agg(F.sum("n_windows")).first()[0]
+    assert rows(I.knn_index(tidy, qs, 4)) == rows(B.knn_brute(to_chunks(p, Q, 50), qs, 4))
+
+
+def test_windows_apart(data):
+    _, chunks, qs = data
+    every = sorted(((r["d2"], r["series_id"], r["start"]) for r in B.knn_brute(chunks, qs[:1], 10_000).collect()))
+    want = []
+    for _, s, t in every:
+        if len(want) < 5 and all(s != a or abs(t - b) > 8 for a, b in want):
+            want.append((s, t))
+    got = I.knn_index(I.build_index(chunks, Q), qs[:1], 5, exclusion=8).orderBy("rank").collect()
+    assert [(r["series_id"], r["start"]) for r in got] == want
