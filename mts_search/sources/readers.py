@@ -105,11 +105,6 @@ class _EntryReader(DataSourceReader):
         yield from ds.dataset(self.path).to_batches(columns=["series_id", "first_start", "last_start", "lo_0", "hi_0"], filter=where)
 
 
-def flatten_entries(entries: DataFrame, dims: int = 1) -> DataFrame:
-    """Leading box sides as columns, so that Parquet statistics can skip row groups."""
-    return entries.select("*", *[F.get(c, F.lit(i)).alias(f"{c}_{i}") for i in range(dims) for c in ("lo", "hi")])
-
-
 def register(spark: SparkSession) -> None:
     spark.dataSource.register(WalkSource)
     spark.dataSource.register(EntrySource)

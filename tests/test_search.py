@@ -196,3 +196,24 @@ def test_windows_apart(data):
             want.append((s, t))
     got = I.knn_index(I.build_index(chunks, Q), qs[:1], 5, exclusion=8).orderBy("rank").collect()
     assert [(r["series_id"], r["start"]) for r in got] == want
+
+
+def test_sinks_and_entry_source(data, spark, tmp_path):
+    from mts_search.sources import readers
+
+    p, chunks, qs = data
+    readers.register(spark)
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    index = I.build_index(chunks, Q)
+    I.save_index(index, str(tmp_path / "ix"))
+    got = spark.read.format("mts_entries").option("path", str(tmp_path / "ix" / "entries")).load()
+    assert got.count() == index.entries.count()
+    assert got.where("lo_0 <= 5 and hi_0 >= 5").count() == index.entries.where("lo[0] <= 5 and hi[0] >= 5").count()
+    found = I.knn_index(index, qs, 3)
+    for _ in range(2):
+        readers.write_results(found, str(tmp_path / "out"), "overwrite", by="query_id")
+    assert rows(spark.read.parquet(str(tmp_path / "out"))) == rows(found)
+    readers.write_bucketed(p, "points_by_series", 4)
+    joined = spark.table("points_by_series").groupBy("series_id").count()
+    assert joined.count() == 6 and "Exchange" not in joined._jdf.queryExecution().sparkPlan().toString()
+    spark.sql("drop table points_by_series")
