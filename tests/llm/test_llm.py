@@ -251,7 +251,7 @@ def test_groups_at_the_threshold(spark):
     near = {i: [j for j in range(len(texts)) if i != j and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])] for i in range(len(texts))}
     group = components(near)
     docs = frame(spark, list(enumerate(texts)))
-    members = J.buckets(J.signatures(docs))
+    members = J.buckets(J.signatures(docs))  # no copies among the texts: each is a class
     assert members.agg(F.max("size")).first()[0] > 2 * J.SMALL
     got = {r["doc_id"]: r["class_id"] for r in J.counted(docs).collect()}
     assert got == {i: min(group[i]) for i in got} and 1 < len(set(got.values())) < 220
