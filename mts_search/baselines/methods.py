@@ -209,9 +209,18 @@ def choose_plan(index: Index, queries: list[Query], k: int, sample: int = 200) -
     return "index" if np.median(shares) < 0.5 else "scan"
 
 
+#: Queries from which building an index can pay: fewer are scanned, whatever the series.
+BREAK_EVEN = 45
+
+
 def knn(points_or_chunks, queries: list[Query], k: int, method: str = "index", **options) -> DataFrame:
-    """Dispatch by name: index, scan, brute, trail, meanlookup, segtree, envelope or auto."""
+    """Dispatch by name: index, scan, brute, trail, meanlookup, segtree, envelope or auto.
+
+    auto: a scan for fewer queries than an index takes to pay, else what ``choose_plan`` says of the index built.
+    """
     chunks = points_or_chunks
+    if method == "auto" and len(queries) < BREAK_EVEN:
+        return knn_scan(chunks, queries, k, options.get("normalized", False))
     if method in ("scan", "brute"):
         return (knn_scan if method == "scan" else knn_brute)(chunks, queries, k, **options)
     from ..operators.index import build_index, knn_index
