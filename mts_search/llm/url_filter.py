@@ -126,7 +126,11 @@ def judge(df: DataFrame, key: str, url: str = "url", rules=RULES, sample: int =
     at = at.select(key, host.alias("host"), path.alias("path"))
     at = at.withColumn("__best", best_rule(F.col("host"), F.col("path"), rules)).withColumn("__address", F.concat("host", "path"))
     labelled = at.where("__best is not null").select("__address", F.col("__best.verdict").alias("v"))
-    labelled = labelled.groupBy("__address", "v").count().drop("count").orderBy(F.xxhash64("__address"), "__address", "v").limit(sample).collect()
+    # the first by hash; a bound on the hash that twice as many pass keeps the rest from being gathered at all
+    place = F.pmod(F.xxhash64("__address"), F.lit(1 << 40))
+    n = labelled.agg(F.approx_count_distinct("__address")).first()[0] or 1
+    some = labelled.where(place < int(min(1.0, 2 * sample / n) * (1 << 40)))
+    labelled = some.groupBy("__address", "v").count().drop("count").orderBy(place, "__address", "v").limit(sample).collect()
     ratio = fit_ratio([r[0] for r in labelled if r[1] == "allow"], [r[0] for r in labelled if r[1] == "block"], order)
 
     @F.pandas_udf("double")
