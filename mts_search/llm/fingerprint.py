@@ -83,7 +83,7 @@ def with_next(docs: DataFrame, rows_each: int = 256) -> DataFrame:
         top = _LOW
     part = range_number(F.col("at"), cuts)
     above = part + 1
-    border = F.array_contains(F.array(*[F.lit(c) for c in cuts]).cast("array<bigint>"), F.col("at")) if len(cuts) <= 64 else (range_number(F.col("at") + 1, cuts) > part) & (F.col("at") != F.lit((1 << 63) - 1))
+    border = F.array_contains(F.array(*[F.lit(c) for c in cuts]).cast("array<bigint>"), F.col("at")) if len(cuts) <= 64 else (range_number(F.try_add(F.col("at"), F.lit(1).cast("bigint")), cuts) > part)  # the largest id has no next: null, below every cut
     homes = F.filter(
         F.array(
             F.struct(part.alias("part"), F.lit(0).alias("guest")),
