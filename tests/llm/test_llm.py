@@ -454,3 +454,56 @@ def test_token_folder_is_read_alone(spark, tmp_path):
     T.write(docs, public_tokenizers.path(QS.TOKENIZER), rows_each=8, to=out)
     got = sorted(T.read_files(spark.newSession(), out).collect(), key=lambda r: r["doc_id"])
     assert [r["start"] for r in got] == [0, *np.cumsum([r["n_tokens"] for r in got])[:-1].tolist()]
+
+
+def test_pipeline_against_brute_force(spark):
+    """Each stage on its predecessor's rows, against plain versions."""
+    import corpus_pipeline
+
+    stage = dict(corpus_pipeline.STAGES)
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    text = {r["doc_id"]: r["text"] or "" for r in docs.collect()}
+    kept = lambda df: {r["doc_id"] for r in df.select("doc_id").collect()}
+    calm = stage["toxicity"](spark, docs, SF)
+    detector = X.learn(docs, spark.read.parquet(f"{SF}/labels.parquet"))
+    ids = sorted(text)
+    assert kept(calm) == {i for i, s in zip(ids, detector.scores([text[i] for i in ids]), strict=True) if s < 0.5}
+    ids = sorted(kept(calm))
+    sets = {i: J.shingles(text[i]) for i in ids}
+    near = lambda i, j: text[i] == text[j] or len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]) > 0
+    group = components({i: [j for j in ids if i != j and near(i, j)] for i in ids})
+    single = stage["near_duplicates"](spark, calm, SF)
+    assert kept(single) == {min(g) for g in group.values()}
+    items = [J.words(r["text"] or "") for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
+    number: dict = {}
+    code = lambda ws: np.array([number.setdefault(w, len(number)) for w in ws], np.int64)
+    items = [code(w) for w in items if w]
+    held = lambda i: any(D.edits_within(x, code(J.words(text[i])), int(0.2 * len(x))) for x in items)
+    clean = stage["decontamination"](spark, single, SF)
+    assert kept(clean) == {i for i in kept(single) if not text[i] or not held(i)}
+    mixed = stage["mixing"](spark, clean, SF)
+    told = {r["doc_id"]: r for r in M.mix(clean).collect()}
+    cells: dict = {}
+    for r in told.values():
+        assert r["n_tokens"] == len(re.findall(r"\S+", text[r["doc_id"]]))
+        cells[(r["source"], r["lang"], r["topic"])] = cells.get((r["source"], r["lang"], r["topic"]), 0) + r["n_tokens"]
+    p = {k: x for k, _, x, _ in M.rake(cells, 0.8).cells}
+    assert all(r["probability"] == pytest.approx(p[(r["source"], r["lang"], r["topic"])]) for r in told.values())
+    assert kept(mixed) == {i for i, r in told.items() if r["kept"]}
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(public_tokenizers.path(QS.TOKENIZER))
+    start, want = 0, []
+    for i in sorted(kept(mixed)):
+        x = np.array([*tok.encode(text[i], add_special_tokens=False).ids, 2], "<u4")
+        want.append((i, start, len(x), zlib.crc32(x.tobytes())))
+        start += len(x)
+    assert sorted(tuple(r[c] for c in ("doc_id", "start", "n_tokens", "ids_crc32")) for r in stage["token_blocks"](spark, mixed, SF).collect()) == want
+
+
+def test_largest_id_and_bounded_sample(spark):
+    docs = frame(spark, [*[(i, prose(30, i)) for i in range(400)], ((1 << 63) - 1, prose(30, 999))])
+    assert P.fingerprints(docs, 4).count() == 401
+    urls = spark.createDataFrame([(i, f"http://h{i}.{'net' if i % 2 else 'org'}/fr/{i}") for i in range(300)], "page_id bigint, url string")
+    got = U.judge(urls, "page_id", sample=40).collect()
+    assert len(got) == 300 and all((r["rule"], r["verdict"]) == (("net/", "block") if r["page_id"] % 2 else ("org/fr/", "allow")) for r in got)
