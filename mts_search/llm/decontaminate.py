@@ -319,8 +319,10 @@ def clean(docs: DataFrame, benchmark: DataFrame, limit: float = LIMIT, target: f
 
     def without(rows: DataFrame, index: Index) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for part in batches:
-                yield part.filter(pa.array([not t or not find(index, words(str(t))) for t in part.column(at).to_pylist()], pa.bool_()))
+            for big in batches:
+                for o in range(0, big.num_rows, 256):  # few texts as Python strings at a time
+                    part = big.slice(o, 256)
+                    yield part.filter(pa.array([not t or not find(index, words(str(t))) for t in part.column(at).to_pylist()], pa.bool_()))
 
         return rows.mapInArrow(run, rows.schema)
 
