@@ -11,7 +11,7 @@ from ..operators import index as I
 from ..operators import metrics as M
 from ..operators.series import indexed_part, query_points, to_chunks
 from ..session import ship
-from .workloads import chunks_of, index_of, points_of, queries_of
+from .workloads import _once, chunks_of, index_of, points_of, queries_of
 
 NAME = "supplier_week_cum"
 
@@ -22,14 +22,18 @@ def _frame(spark: SparkSession, rows: list[dict]) -> DataFrame:
     return spark.createDataFrame([tuple(r[c] if kind[c] == "string" else float(r[c]) for c in cols) for r in rows], ", ".join(f"{c} {kind[c]}" for c in cols))
 
 
+def _measured(spark, d, report) -> list[dict]:
+    """Rows of a report, measured once an application; reports made from it share them."""
+    return _once(spark, (d, report.__name__), lambda: report(spark, d))
+
+
 def bench_methods(spark, d):
     """All methods on the same queries: build and query seconds, pruning, index size, recall (must be 1)."""
     ship(spark)
     return _frame(spark, M.study(chunks_of(spark, d, NAME), points_of(spark, d, NAME), queries_of(spark, d, NAME), 52, 1))
 
 
-def bench_scale_n(spark, d):
-    """Time and index size by the number of series: 1/4, 1/2, 3/4 and all."""
+def _bench_scale_n(spark, d) -> list[dict]:
     ship(spark)
     p, out = points_of(spark, d, NAME), []
     n = p.select("series_id").distinct().count()
@@ -42,11 +46,15 @@ def bench_scale_n(spark, d):
         _, scan = M.timed(lambda chunks=chunks: B.knn_scan(chunks, qs, 1).collect())
         size = M.index_size(index, some).first()
         out.append({"series": n * part // 4, "build_s": phases["build"] + phases["runs"], "query_s": s, "scan_s": scan, "index_bytes": size["index_bytes"], "index_percent": size["percent"]})
-    return _frame(spark, out)
+    return out
 
 
-def bench_qlen(spark, d):
-    """Query length against index and scan time; the scan's doesn't depend on it."""
+def bench_scale_n(spark, d):
+    """Time and index size by the number of series: 1/4, 1/2, 3/4 and all."""
+    return _frame(spark, _measured(spark, d, _bench_scale_n))
+
+
+def _bench_qlen(spark, d) -> list[dict]:
     ship(spark)
     p, out = points_of(spark, d, NAME), []
     for q in (13, 26, 52, 104):
@@ -58,7 +66,12 @@ def bench_qlen(spark, d):
         _, s = M.timed(lambda: I.knn_index(index, qs, 1, trace=trace).collect())  # noqa: B023
         _, scan = M.timed(lambda: B.knn_scan(chunks, qs, 1).collect())  # noqa: B023
         out.append({"q": q, "index_s": s, "scan_s": scan, "pruned": M.pruning_windows({r["query_id"]: r["windows"] for r in trace.rows}, index.spec.n_windows)})
-    return _frame(spark, out)
+    return out
+
+
+def bench_qlen(spark, d):
+    """Query length against index and scan time; the scan's doesn't depend on it."""
+    return _frame(spark, _measured(spark, d, _bench_qlen))
 
 
 def bench_leaf(spark, d):
@@ -134,8 +147,7 @@ def _workload(spark, d, n: int, noise: float = 0.1, held_out: bool = False) -> l
     return I.collect_queries(rows)
 
 
-def bench_queries(spark, d):
-    """100 noisy queries as one batch, three times: index, scan and brute; the build apart; median seconds and windows pruned."""
+def _bench_queries(spark, d) -> list[dict]:
     ship(spark)
     qs, chunks = _workload(spark, d, 100), chunks_of(spark, d, NAME)
     index, phases = M.timed_build(chunks, 52)
@@ -147,12 +159,17 @@ def bench_queries(spark, d):
     out = [{"method": "index", "build_s": build, **M.bench_queries(lambda q: I.knn_index(index, q, 1, whole_numbers=False), qs, 3), "pruned": pruned, "runs_bounded": bounded}]
     for name, f in (("scan", B.knn_scan), ("brute", B.knn_brute)):
         out.append({"method": name, "build_s": 0.0, **M.bench_queries(lambda q, f=f: f(chunks, q, 1, whole_numbers=False), qs, 3), "pruned": 0.0, "runs_bounded": 1.0})
-    return _frame(spark, out)
+    return out
+
+
+def bench_queries(spark, d):
+    """100 noisy queries as one batch, three times: index, scan and brute; the build apart; median seconds and windows pruned."""
+    return _frame(spark, _measured(spark, d, _bench_queries))
 
 
 def amortized_measured(spark, d):
     """Measured break-even of the index against the scan, up to 3000 queries (0: not within them)."""
-    got = {r["method"]: r for r in bench_queries(spark, d).collect()}
+    got = {r["method"]: r for r in _measured(spark, d, _bench_queries)}
     a, b, first = M.amortize(got["index"]["build_s"], [got["index"]["query_s"]] * 3000, [got["scan"]["query_s"]] * 3000)
     return _frame(spark, [{"queries": n, "index_s": a[n - 1], "scan_s": b[n - 1], "break_even": first or 0} for n in (1, 10, 45, 100, 1000, 3000)])
 
@@ -174,12 +191,12 @@ def difficulty(spark, d):
 
 
 def build_by_n(spark, d):
-    """Build seconds and index size of all methods, raw and normalised, on a third, two thirds and all of the series."""
+    """Build seconds and index size of all methods, raw and normalised, on half and all of the series."""
     ship(spark)
     p, out = points_of(spark, d, NAME), []
     n = p.select("series_id").distinct().count()
-    for part in (1, 2, 3):
-        some = p.where(F.col("series_id") <= n * part // 3).persist()
+    for part in (1, 2):
+        some = p.where(F.col("series_id") <= n * part // 2).persist()
         chunks = to_chunks(some, 52).persist()
         data = some.count() * 8
         for norm in (False, True):
@@ -191,7 +208,7 @@ def build_by_n(spark, d):
                     built, s = M.timed(lambda: B.build_channel_index(chunks, 52, m, normalized=norm))  # noqa: B023
                     size = F.size("lo") + F.size("hi")
                 held, more = M.timed(lambda: built.entries.agg(F.sum(size * 8 + 44)).first()[0])  # noqa: B023
-                out.append({"method": m, "normalized": str(norm).lower(), "series": n * part // 3, "build_s": s + more, "index_bytes": held or 0, "index_percent": 100 * (held or 0) / data})
+                out.append({"method": m, "normalized": str(norm).lower(), "series": n * part // 2, "build_s": s + more, "index_bytes": held or 0, "index_percent": 100 * (held or 0) / data})
     return _frame(spark, out)
 
 
@@ -243,8 +260,7 @@ def gen_queries(spark, d):
 
 def scaling_exponents(spark, d):
     """Slopes of log time against log size, from the reports above."""
-    a = sorted(bench_scale_n(spark, d).collect(), key=lambda r: r["series"])
-    b = sorted(bench_qlen(spark, d).collect(), key=lambda r: r["q"])
+    a, b = _measured(spark, d, _bench_scale_n), _measured(spark, d, _bench_qlen)
     return _frame(spark, [{"axis": "series (index)", "slope": M.scaling([r["series"] for r in a], [r["query_s"] for r in a])}, {"axis": "series (scan)", "slope": M.scaling([r["series"] for r in a], [r["scan_s"] for r in a])}, {"axis": "query length (scan)", "slope": M.scaling([r["q"] for r in b], [r["scan_s"] for r in b])}])
 
 
