@@ -16,3 +16,7 @@ def late(spark, tmp_path):
 
 def test_dedup_of_first_file_written_last(spark, late):
     assert sorted(r[0] for r in S.stream_dedup(spark, late).collect()) == list(range(40))
+
+
+def test_pairs_of_first_file_written_last(spark, late):
+    assert sorted(tuple(r) for r in S.stream_pairs(spark, late).collect()) == [(i, i + 1) for i in range(0, 40, 2)]
