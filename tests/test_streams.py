@@ -20,3 +20,7 @@ def test_dedup_of_first_file_written_last(spark, late):
 
 def test_pairs_of_first_file_written_last(spark, late):
     assert sorted(tuple(r) for r in S.stream_pairs(spark, late).collect()) == [(i, i + 1) for i in range(0, 40, 2)]
+
+
+def test_sessions_of_first_file_written_last(spark, late):
+    assert sorted((r["start_s"], r["n"]) for r in S.stream_sessions(spark, late).collect()) == [(1704067200 + 86400 * i, 2) for i in range(0, 40, 2)]
