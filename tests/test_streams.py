@@ -9,7 +9,7 @@ from mts_search.streaming import streams as S
 def late(spark, tmp_path):
     """Events whose first rows are the longest by far, so that the task of the first file ends last."""
     ts = "timestamp'2024-01-01' + make_dt_interval(id div 2 * 2, 0, 30 * (id % 2))"
-    rows = spark.range(40, numPartitions=1).selectExpr("id as event_id", f"{ts} as ts", "1L as user_id", "if(id % 2 = 0, 'click', 'purchase') as event_type", "1.0D as value", "repeat(sha(string(id)), if(id < 4, 500000, 1)) as props")
+    rows = spark.range(40, numPartitions=1).selectExpr("id as event_id", f"{ts} as ts", "1L as user_id", "if(id % 2 = 0, 'click', 'purchase') as event_type", "1.0D as value", "repeat(sha(string(id)), if(id < 4, 1200000, 1)) as props")
     rows.write.parquet(str(tmp_path / "events.parquet"))
     return str(tmp_path)
 
