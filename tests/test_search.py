@@ -217,3 +217,15 @@ def test_sinks_and_entry_source(data, spark, tmp_path):
     joined = spark.table("points_by_series").groupBy("series_id").count()
     assert joined.count() == 6 and "Exchange" not in joined._jdf.queryExecution().sparkPlan().toString()
     spark.sql("drop table points_by_series")
+
+
+def test_large_boxes_are_not_kept(data, monkeypatch):
+    """Boxes beyond the bound are made again in each pass: nothing of them is stored, answers are the same."""
+    p, chunks, qs = data
+    monkeypatch.setattr(I, "KEPT_BYTES", 0)
+    index = I.build_index(chunks, Q)
+    assert not index.entries.storageLevel.useDisk
+    assert not I.append(index, chunks.limit(0)).entries.storageLevel.useDisk
+    assert rows(I.knn_index(index, qs, 4)) == rows(B.knn_brute(chunks, qs, 4))
+    old, new = to_chunks(p.where("series_id < 4"), Q, 50), to_chunks(p.where("series_id >= 4"), Q, 50)
+    assert rows(I.knn_index(I.append(I.build_index(old, Q), new), qs, 4)) == rows(B.knn_brute(to_chunks(p, Q, 50), qs, 4))
