@@ -56,7 +56,8 @@ def sliding(stream: DataFrame, width: str = "1 hour", step: str = "30 minutes",
 
 
 def sessions(stream: DataFrame, gap: str = "6 hours", late: str = "10 minutes") -> DataFrame:
-    return stream.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap)).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.unix_seconds("session_window.start").alias("start_s"), "n")
+    """A row exactly ``gap`` after the last begins a session; Spark would still add it, so its gap is a microsecond shorter."""
+    return stream.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", f"{gap} -1 microsecond")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.unix_seconds("session_window.start").alias("start_s"), "n")
 
 
 def deduplicated(stream: DataFrame, late: str = "1 hour") -> DataFrame:

@@ -24,3 +24,10 @@ def test_pairs_of_first_file_written_last(spark, late):
 
 def test_sessions_of_first_file_written_last(spark, late):
     assert sorted((r["start_s"], r["n"]) for r in S.stream_sessions(spark, late).collect()) == [(1704067200 + 86400 * i, 2) for i in range(0, 40, 2)]
+
+
+def test_row_exactly_a_gap_later_begins_a_session(spark, tmp_path):
+    rows = "select id as event_id, timestamp'2024-01-01' + make_dt_interval(0, 0, 0, s) as ts, 1L as user_id, 'view' as event_type, 1.0D as value, '' as props"
+    spark.createDataFrame([(0, 0.0), (1, 21600.0), (2, 43199.999999)], "id bigint, s double").selectExpr("id", "cast(s as decimal(18, 6)) as s").createOrReplaceTempView("steps")
+    spark.sql(f"{rows} from steps").write.parquet(str(tmp_path / "events.parquet"))
+    assert sorted((r["start_s"], r["n"]) for r in S.stream_sessions(spark, str(tmp_path)).collect()) == [(1704067200, 1), (1704088800, 2)]
