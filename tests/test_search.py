@@ -229,3 +229,25 @@ def test_large_boxes_are_not_kept(data, monkeypatch):
     assert rows(I.knn_index(index, qs, 4)) == rows(B.knn_brute(chunks, qs, 4))
     old, new = to_chunks(p.where("series_id < 4"), Q, 50), to_chunks(p.where("series_id >= 4"), Q, 50)
     assert rows(I.knn_index(I.append(I.build_index(old, Q), new), qs, 4)) == rows(B.knn_brute(to_chunks(p, Q, 50), qs, 4))
+
+
+@pytest.mark.parametrize("options", [{"n_pivots": 2}, {"normalized": True}, {"n_pivots": 0, "boxes": "float32"}, {"compress": False}], ids=str)
+def test_passes_over_chunks_search_large_boxes(data, monkeypatch, options):
+    """Runs of an index that isn't kept are bounded and verified in the workers: no candidate meets its chunk in a join."""
+    _, chunks, qs = data
+    sub = [I.Query(q.query_id, [0, 2], q.values[[0, 2]]) for q in qs]
+    norm = options.get("normalized", False)
+    kept, a = I.build_index(chunks, Q, **options), I.Trace([])
+    I.knn_index(kept, qs, 3, trace=a).collect()
+    monkeypatch.setattr(I, "KEPT_BYTES", 0)
+    index, b = I.build_index(chunks, Q, **options), I.Trace([])
+    for queries in (qs, sub):
+        for o in ({}, {"browsing": False}, {"correction": "max"}, {"correction": "none"}):
+            assert rows(I.knn_index(index, queries, 3, **o)) == rows(B.knn_brute(chunks, queries, 3, norm))
+    found = I.knn_index(index, qs, 3, trace=b)
+    assert "Join" not in found._jdf.queryExecution().optimizedPlan().toString()
+    assert [(r["runs"], r["windows"], r["run_bounds"]) for r in a.rows] == [(r["runs"], r["windows"], r["run_bounds"]) for r in b.rows]
+    assert rows(I.knn_index(index, qs, 3, exclusion=4)) == rows(I.knn_index(kept, qs, 3, exclusion=4))
+    assert rows(I.range_query(index, sub, 40.0)) == rows(I.range_query(kept, sub, 40.0))
+    levels = lambda i: sorted((r["level"], r["node_id"], r["n_entries"], r["n_windows"], *r["lo"], *r["hi"]) for r in i.nodes.collect())
+    assert levels(index) == levels(kept)
