@@ -1,5 +1,6 @@
 """Index search against brute force, with every option; wrapper, append, storage, edges, plans."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -251,3 +252,13 @@ def test_passes_over_chunks_search_large_boxes(data, monkeypatch, options):
     assert rows(I.range_query(index, sub, 40.0)) == rows(I.range_query(kept, sub, 40.0))
     levels = lambda i: sorted((r["level"], r["node_id"], r["n_entries"], r["n_windows"], *r["lo"], *r["hi"]) for r in i.nodes.collect())
     assert levels(index) == levels(kept)
+
+
+def test_extremes_equal_all_distances(data):
+    """Farthest and nearest window of each query in one pass, without a row a window."""
+    _, chunks, qs = data
+    cut = [I.Query(9, [0, 1, 2], np.array(chunks.where("series_id = 2 and chunk_id = 0").first()["vals"])[:, 5 : 5 + Q])]
+    every = B.knn_brute(chunks, [*qs, *cut], 10**9).groupBy("query_id").agg(F.max("d2"), F.min("d2"), F.min(F.when(F.col("d2") > 0, F.col("d2")))).orderBy("query_id").collect()
+    plain, above = (B.extremes(chunks, [*qs, *cut], least).orderBy("query_id") for least in (0.0, 0.00005))
+    assert [tuple(r) for r in plain.collect()] == [tuple(r)[:3] for r in every]
+    assert [tuple(r) for r in above.collect()] == [(r[0], r[1], r[3]) for r in every] and every[-1][2] == 0
