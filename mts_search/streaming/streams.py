@@ -65,10 +65,15 @@ def deduplicated(stream: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 def pairs_within(a: DataFrame, b: DataFrame, span: str = "1 hour") -> DataFrame:
-    """Stream-stream join: events of one user and two types, the second within ``span`` after the first."""
-    x = a.withWatermark("ts", span).select(F.col("user_id").alias("u1"), F.col("ts").alias("t1"), F.col("event_id").alias("first_id"))
-    y = b.withWatermark("ts", span).select(F.col("user_id").alias("u2"), F.col("ts").alias("t2"), F.col("event_id").alias("second_id"))
-    return x.join(y, F.expr(f"u1 = u2 and t2 >= t1 and t2 <= t1 + interval {span}")).select("first_id", "second_id")
+    """Stream-stream join: events of one user and two types, the second within ``span`` after the first.
+
+    The state of a key is read as a whole for each row, so keys are a user's stretches of ``span``: a second event is
+    looked for in the stretch of its own time and in the one before, and a first event lies in one of them only.
+    """
+    k = F.expr(f"unix_micros(ts) div unix_micros(timestamp_micros(0) + interval {span})")
+    x = a.withWatermark("ts", span).select(F.col("user_id").alias("u1"), k.alias("k1"), F.col("ts").alias("t1"), F.col("event_id").alias("first_id"))
+    y = b.withWatermark("ts", span).select(F.col("user_id").alias("u2"), F.explode(F.array(k, k - 1)).alias("k2"), F.col("ts").alias("t2"), F.col("event_id").alias("second_id"))
+    return x.join(y, F.expr(f"u1 = u2 and k1 = k2 and t2 >= t1 and t2 <= t1 + interval {span}")).select("first_id", "second_id")
 
 
 def tail_features(points: DataFrame, q: int, kept: list[int]) -> DataFrame:
