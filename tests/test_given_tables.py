@@ -12,3 +12,21 @@ SF = "/root/testdata/sf0.001"
 def test_reads_its_table(spark, run, table):
     found = run(spark, SF)
     assert any(f.endswith(f"/{table}.parquet") for f in found.inputFiles()) and found.count() > 0
+
+
+def test_supplier_chunks_take_one_shuffle_and_equal_those_of_points(spark, tmp_path):
+    """Rows of a step are added up, price sums cut to thousands after that; other weeks, null days and null suppliers give zeros."""
+    from mts_search.operators import fixtures as X
+    from mts_search.operators.series import to_chunks
+
+    rows = "select if(id % 41 = 40, null, id % 3) as l_suppkey, cast(id % 50 as double) as l_quantity, if(id % 7 = 0, null, id * 13.37D) as l_extendedprice, (id % 11) / 100.0D as l_discount, (id % 9) / 100.0D as l_tax"
+    day = "if(id % 53 = 5, null, date_add(date'1994-12-01', cast(id * 7919 % 2600 as int))) as l_shipdate, 'A' as l_returnflag"
+    spark.sql(f"{rows}, {day} from range(4000) union all select 9L, 1.0D, 1.0D, 0.0D, 0.0D, date'1990-01-01', 'A'").write.parquet(str(tmp_path / "lineitem.parquet"))
+    for cumulative in (False, True):
+        got = X.supplier_chunks(spark, str(tmp_path), 52, cumulative)
+        want = to_chunks(X.supplier(spark, str(tmp_path), cumulative=cumulative), 52)
+        known = {r["series_id"]: r["vals"] for r in want.collect()}
+        found = {r["series_id"]: r["vals"] for r in got.collect()}
+        assert set(found) == {0, 1, 2, 9, None} and not any(map(any, found[None])) and not any(map(any, found[9]))
+        assert all(found[i] == known[i] for i in (0, 1, 2, 9))
+    assert X.supplier_chunks(spark, str(tmp_path), 52)._jdf.queryExecution().executedPlan().toString().count("Exchange ") == 1
