@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from mts_search.baselines import methods as B
+from mts_search.operators import chunk_pass as P
 from mts_search.operators import index as I
 from mts_search.operators.fixtures import walks
 from mts_search.operators.series import build_series, mts_distance, query_points, to_chunks, windows
@@ -254,6 +255,31 @@ def test_passes_over_chunks_search_large_boxes(data, monkeypatch, options):
     assert levels(index) == levels(kept)
 
 
+@pytest.mark.parametrize("options", [{"n_pivots": 2}, {"normalized": True}, {"boxes": "float32", "fanout": 2}], ids=str)
+def test_wide_boxes_are_bounded_in_the_channels_of_a_search(data, monkeypatch, options):
+    """Beyond a width no box of a run, leaf or node is stored; bounds add up over blocks of channels; answers are the same."""
+    p, chunks, qs = data
+    sub = [I.Query(q.query_id, [c], q.values[[c]]) for c, q in zip((0, 2), qs, strict=True)]
+    norm = options.get("normalized", False)
+    monkeypatch.setattr(I, "MOST_SIDES", 4)
+    monkeypatch.setattr(P, "BLOCK_DIMS", 1)
+    index, trace = I.build_index(chunks, Q, **options), I.Trace([])
+    assert index.wide and index.nodes is None
+    for queries in (qs, sub):
+        for o in ({}, {"browsing": False}, {"correction": "max"}):
+            assert rows(I.knn_index(index, queries, 3, **o)) == rows(B.knn_brute(chunks, queries, 3, norm))
+    found = I.knn_index(index, qs, 3, trace=trace)
+    assert index.nodes is None and found.count() == 6 and all(r["run_bounds"] >= r["runs"] > 0 for r in trace.rows)
+    if not norm:
+        assert rows(I.range_query(index, sub, 40.0)) == rows(B.knn_brute(chunks, sub, 10**9).where("distance < 40"))
+    with pytest.raises(I.LengthMismatch):
+        I.knn_index(index, [I.Query(0, [0], np.zeros((1, Q - 1)))], 1)
+    old, new = to_chunks(p.where("series_id < 4"), Q, 50), to_chunks(p.where("series_id >= 4"), Q, 50)
+    more = I.append(I.build_index(old, Q, **options), new)
+    assert more.nodes is None and rows(I.knn_index(more, qs, 4)) == rows(B.knn_brute(chunks, qs, 4, norm))
+    assert index.levels()[0] == sum(1 for r in index.leaf_bounds(qs)[0])
+
+
 def test_extremes_equal_all_distances(data):
     """Farthest and nearest window of each query in one pass, without a row a window."""
     _, chunks, qs = data
