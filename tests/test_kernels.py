@@ -116,3 +116,18 @@ def test_sinusoid_keeps_its_bin_only():
     assert select_bins(ardc(s), 0.9) == {0: [3]}
     back, err = K.reconstruct(s[0, 0], [3])
     assert err < 1e-9 and np.allclose(back, s[0, 0])
+
+
+@pytest.mark.parametrize("normalized", [False, True])
+def test_profiles_of_several_queries_equal_single_ones(normalized, monkeypatch):
+    """The chunk is transformed once a channel for all queries, not once a query."""
+    g = np.random.default_rng(3)
+    x, ys = g.integers(0, 50, (2, 300)).astype(float), g.integers(0, 50, (5, 2, 40)).astype(float)
+    singles = np.array([K.profile(x, y, normalized, "direct") for y in ys])
+    for method in ("auto", "fft", "direct"):
+        assert np.allclose(K.profiles(x, ys, normalized, method), singles, atol=1e-6)
+    if not normalized:
+        made, rfft = [], np.fft.rfft
+        monkeypatch.setattr(np.fft, "rfft", lambda *a, **k: made.append(1) or rfft(*a, **k))
+        K.profiles(x, ys)
+        assert len(made) == 4
