@@ -30,3 +30,35 @@ def test_supplier_chunks_take_one_shuffle_and_equal_those_of_points(spark, tmp_p
         assert set(found) == {0, 1, 2, 9, None} and not any(map(any, found[None])) and not any(map(any, found[9]))
         assert all(found[i] == known[i] for i in (0, 1, 2, 9))
     assert X.supplier_chunks(spark, str(tmp_path), 52)._jdf.queryExecution().executedPlan().toString().count("Exchange ") == 1
+
+
+def test_many_channels_chunks_equal_those_of_points(spark, tmp_path):
+    """Chunks straight from the rows: suppliers without rows of a flag are lines of zeros; null flags and days, other weeks."""
+    from mts_search.operators import fixtures as X
+    from mts_search.operators.series import to_chunks
+
+    rows = "select if(id % 41 = 40, null, id * 31 % 13 + if(id % 2 = 0, 3, 1)) as l_suppkey, cast(id % 50 as double) as l_quantity, 1.0D as l_extendedprice, 0.0D as l_discount, 0.0D as l_tax"
+    day = "if(id % 53 = 5, null, date_add(date'1994-12-01', cast(id * 7919 % 2600 as int))) as l_shipdate, element_at(array('A', 'N', 'R', null), cast(id % 4 + 1 as int)) as l_returnflag"
+    spark.sql(f"{rows}, {day} from range(3000)").write.parquet(str(tmp_path / "lineitem.parquet"))
+    d = str(tmp_path)
+    want, got = to_chunks(X.many_channels(spark, d), 52), X.FIXTURES["many_channels"].chunks(spark, d, 52)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and got.count() == 3
+    assert not any(got.where("series_id = 0").first()["vals"][0]) and got.dtypes == want.dtypes
+
+
+def test_queries_cut_from_chunks_equal_those_of_points(spark, monkeypatch):
+    """One window of a chunk each, no point is made; channels that aren't there are left out. Hits and leaves make no frame from Python rows."""
+    from mts_search.operators import fixtures as X
+    from mts_search.operators import index as I
+    from mts_search.operators.series import query_points, to_chunks
+
+    p = X.supplier(spark, SF).where("series_id <= 40").persist()
+    chunks = to_chunks(p, 52, 100).persist()
+    for n, noise, channels, held_out in ((2, 1, None, False), (3, 16, [4, 0, 9], False), (2, 0, [1], True)):
+        want, got = I.collect_queries(query_points(p, 52, n, noise, channels, held_out)), I.cut_queries(chunks, 52, n, noise, channels, held_out)
+        assert [(a.query_id, a.channels, a.values.tolist()) for a in got] == [(b.query_id, b.channels, b.values.tolist()) for b in want] and len(got) == n
+    monkeypatch.setattr(I, "KEPT_BYTES", 0)
+    made, whole = [], type(spark).createDataFrame
+    monkeypatch.setattr(type(spark), "createDataFrame", lambda self, data, *a, **k: made.append(type(data)) or whole(self, data, *a, **k))
+    I.knn_index(I.build_index(chunks, 52), got, 3).count()
+    assert made.count(list) == 1  # the queries, which are not read where the driver holds the leaves
