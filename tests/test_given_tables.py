@@ -62,3 +62,32 @@ def test_queries_cut_from_chunks_equal_those_of_points(spark, monkeypatch):
     monkeypatch.setattr(type(spark), "createDataFrame", lambda self, data, *a, **k: made.append(type(data)) or whole(self, data, *a, **k))
     I.knn_index(I.build_index(chunks, 52), got, 3).count()
     assert made.count(list) == 1  # the queries, which are not read where the driver holds the leaves
+
+
+def test_rows_of_a_series_are_shuffled_in_packed_blocks(spark):
+    """A block adds up its rows and takes a few bytes a row; nothing else is shuffled."""
+    import numpy as np
+    import pyarrow as pa
+
+    from mts_search.operators import fixtures as X
+    from mts_search.operators import series as S
+
+    g = np.random.default_rng(1)
+    n, null = 50_000, np.arange(50_000) % 97 == 0
+    s, t, v, w = g.integers(0, 60, n), g.integers(-3, 360, n), g.integers(-9, 9, n), g.integers(0, 1 << 40, n)
+    rows = pa.table({"series_id": pa.array(s, mask=null), "t": pa.array(t), "c0": pa.array(v, mask=s == 5), "c1": pa.array(w)})
+    dealt, found = S._dealt(rows, 357, 4), {}
+    for block in dealt.column(1).to_pylist():
+        for a, b, c, d in zip(*(x.tolist() for x in S.unpacked(block)), strict=True):
+            assert (a, b) not in found
+            found[a, b] = (c, d)
+    want = {(S.NULL, 357): (0, 0)}
+    for a, b, c, d, no in zip(s.tolist(), t.tolist(), v.tolist(), w.tolist(), null.tolist(), strict=True):
+        key = (S.NULL, 357) if no else (a, b) if 0 <= b < 357 else (a, 357)
+        x, y = want.get(key, (0, 0))
+        want[key] = (x, y) if key[1] == 357 else (x + (0 if a == 5 else c), y + d)
+    assert found == want and dealt.num_rows == 4 and sum(map(len, dealt.column(1).to_pylist())) < 12 * len(want)
+    plan = X.supplier_chunks(spark, SF, 52)._jdf.queryExecution().optimizedPlan().toString()
+    assert "block" in plan
+    edge = [np.array([S.NULL, S.NULL, -5, 3, 1 << 62]), np.arange(5), np.array([1 << 40, -1, 0, 127, -128])]
+    assert all((a == b).all() for a, b in zip(edge, S.unpacked(S.packed(edge)), strict=True))
